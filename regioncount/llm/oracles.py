@@ -31,3 +31,40 @@ SELECT doc_id, size, c::BIGINT AS text_crc32, 'key' AS law, shard::INTEGER AS sh
   grown::INTEGER AS grown_shard, (shard // 12)::INTEGER AS region, (shard // 4)::INTEGER AS rack
 FROM d JOIN best USING (rid) JOIN crc USING (rid)
 """
+
+_WORDS = "regexp_extract_all({}, '[^\\x20\\x09-\\x0D]+')"
+
+SQL["op7_quality"] = rf"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+lines AS (SELECT rid, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d),
+at3 AS (SELECT rid, w, unnest(range(1, len(w) - 1)) AS i FROM d),
+win AS (SELECT rid, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS g FROM at3),
+dup AS (SELECT rid, i FROM (SELECT rid, i, count(*) OVER (PARTITION BY rid, g) AS c FROM win) WHERE c >= 2),
+pos AS (SELECT DISTINCT rid, i + k AS p FROM dup, range(3) s(k)),
+rep AS (SELECT rid, count(*) AS n FROM pos GROUP BY rid),
+m AS (
+  SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(list_sum(list_transform(w, lambda x: length(x))), 0)::BIGINT AS word_chars,
+    length(regexp_replace(text, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols,
+    (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines, coalesce(n, 0)::BIGINT AS n_repeat_words, len(l) AS n_lines
+  FROM d JOIN lines USING (rid) LEFT JOIN rep USING (rid)
+)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
+  n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed,
+  NOT (n_words < 50 OR 100 * n_repeat_words > 50 * n_words OR n_words > 100000 OR word_chars < 2 * n_words
+    OR word_chars > 15 * n_words OR n_symbols * 10 > n_words OR n_dup_lines * 100 > 30 * n_lines) AS kept
+FROM m
+"""
+
+SQL["op9_decontamination"] = r"""
+WITH q AS (SELECT row_number() OVER () AS uid, item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM benchmark),
+d AS (SELECT row_number() OVER () AS rid, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+q5 AS (SELECT uid, item_id, w, unnest(range(1, len(w) - 3)) AS i FROM q),
+qs AS (SELECT DISTINCT uid, item_id, array_to_string(w[i:i + 4], ' ') AS g FROM q5
+       UNION SELECT uid, item_id, array_to_string(w, ' ') FROM q WHERE len(w) BETWEEN 1 AND 4),
+sizes AS (SELECT uid, count(*) AS n FROM qs GROUP BY uid),
+lens AS (SELECT DISTINCT least(len(w), 5) AS k FROM q WHERE len(w) > 0),
+dk AS (SELECT rid, doc_id, w, k, unnest(range(1, len(w) - k + 2)) AS i FROM d, lens),
+ds AS (SELECT DISTINCT rid, doc_id, array_to_string(w[i:i + k - 1], ' ') AS g FROM dk)
+SELECT doc_id, item_id, n::BIGINT AS n_shingles, count(*)::BIGINT AS n_shared
+FROM ds JOIN qs USING (g) JOIN sizes USING (uid) GROUP BY rid, doc_id, uid, item_id, n HAVING count(*) >= ceil(n * 0.8 - 1e-9)
+"""

@@ -5,14 +5,28 @@ from __future__ import annotations
 from regioncount.llm import oracles
 from regioncount.llm.common import table
 from regioncount.llm.op1_sharding import shard_documents
+from regioncount.llm.op7_quality import quality
+from regioncount.llm.op9_decontamination import contained
 
 
 def op1_sharding(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"), 24)
 
 
+def op7_quality(spark, sf_dir):
+    return quality(table(spark, sf_dir, "documents"))
+
+
+def op9_decontamination(spark, sf_dir):
+    return contained(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def queries() -> dict:
-    return {"op1_sharding": op1_sharding}
+    return {
+        "op1_sharding": op1_sharding,
+        "op7_quality": op7_quality,
+        "op9_decontamination": op9_decontamination,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
