@@ -5,6 +5,7 @@ from __future__ import annotations
 from regioncount.llm import oracles
 from regioncount.llm.common import table
 from regioncount.llm.op1_sharding import shard_documents
+from regioncount.llm.op5_bpe import digests
 from regioncount.llm.op7_quality import quality
 from regioncount.llm.op9_decontamination import contained
 
@@ -13,6 +14,10 @@ def op1_sharding(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"), 24)
 
 
+def op5_bpe(spark, sf_dir):
+    return digests(table(spark, sf_dir, "documents"))
+
+
 def op7_quality(spark, sf_dir):
     return quality(table(spark, sf_dir, "documents"))
 
@@ -24,6 +29,7 @@ def op9_decontamination(spark, sf_dir):
 def queries() -> dict:
     return {
         "op1_sharding": op1_sharding,
+        "op5_bpe": op5_bpe,
         "op7_quality": op7_quality,
         "op9_decontamination": op9_decontamination,
     }
