@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from regioncount.llm import oracles
 from regioncount.llm.common import table
+from regioncount.llm.op10_pii import find
 from regioncount.llm.op1_sharding import shard_documents
 from regioncount.llm.op5_bpe import digests
 from regioncount.llm.op7_quality import quality
@@ -26,12 +27,17 @@ def op9_decontamination(spark, sf_dir):
     return contained(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op10_pii(spark, sf_dir):
+    return find(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
     return {
         "op1_sharding": op1_sharding,
         "op5_bpe": op5_bpe,
         "op7_quality": op7_quality,
         "op9_decontamination": op9_decontamination,
+        "op10_pii": op10_pii,
     }
 
 
