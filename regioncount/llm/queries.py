@@ -6,6 +6,7 @@ from regioncount.llm import oracles
 from regioncount.llm.common import table
 from regioncount.llm.op10_pii import find
 from regioncount.llm.op1_sharding import shard_documents
+from regioncount.llm.op3_toxicity import score_documents
 from regioncount.llm.op5_bpe import digests
 from regioncount.llm.op7_quality import quality
 from regioncount.llm.op9_decontamination import contained
@@ -15,6 +16,10 @@ def op1_sharding(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"), 24)
 
 
+def op3_toxicity(spark, sf_dir):
+    return score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op5_bpe(spark, sf_dir):
     return digests(table(spark, sf_dir, "documents"))
 
@@ -34,6 +39,7 @@ def op10_pii(spark, sf_dir):
 def queries() -> dict:
     return {
         "op1_sharding": op1_sharding,
+        "op3_toxicity": op3_toxicity,
         "op5_bpe": op5_bpe,
         "op7_quality": op7_quality,
         "op9_decontamination": op9_decontamination,
