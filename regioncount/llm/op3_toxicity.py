@@ -27,6 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 BUCKETS = 1 << 17
 #: Words of a window: when scoring and in later passes, and in the first pass.
@@ -246,7 +247,7 @@ def with_scores(docs: DataFrame, model: Model) -> DataFrame:
     """All columns, and __rc_score of the column `text`."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     names, at = docs.columns, [c.lower() for c in docs.columns].index("text")
-    schema = docs.schema.add("__rc_score", "double", False)
+    schema = T.StructType([*docs.schema.fields, T.StructField("__rc_score", T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = shared.value
