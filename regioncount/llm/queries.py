@@ -6,9 +6,11 @@ from regioncount.llm import oracles
 from regioncount.llm.common import table
 from regioncount.llm.op10_pii import find
 from regioncount.llm.op1_sharding import shard_documents
+from regioncount.llm.op2_url import judge
 from regioncount.llm.op3_toxicity import score_documents
 from regioncount.llm.op5_bpe import digests
 from regioncount.llm.op7_quality import quality
+from regioncount.llm.op8_html import extract
 from regioncount.llm.op9_decontamination import contained
 
 
@@ -16,6 +18,10 @@ def op1_sharding(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"), 24)
 
 
+def op2_url(spark, sf_dir):
+    return judge(table(spark, sf_dir, "pages"))
+
+
 def op3_toxicity(spark, sf_dir):
     return score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -28,6 +34,10 @@ def op7_quality(spark, sf_dir):
     return quality(table(spark, sf_dir, "documents"))
 
 
+def op8_html(spark, sf_dir):
+    return extract(table(spark, sf_dir, "pages"))
+
+
 def op9_decontamination(spark, sf_dir):
     return contained(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -39,9 +49,11 @@ def op10_pii(spark, sf_dir):
 def queries() -> dict:
     return {
         "op1_sharding": op1_sharding,
+        "op2_url": op2_url,
         "op3_toxicity": op3_toxicity,
         "op5_bpe": op5_bpe,
         "op7_quality": op7_quality,
+        "op8_html": op8_html,
         "op9_decontamination": op9_decontamination,
         "op10_pii": op10_pii,
     }
