@@ -4,7 +4,7 @@ Every element gets features (subtree text and tag density, link share, attribute
 position) and two probabilities from trees: that it lies in the article, and that it only contains it (an ancestor of
 article nodes, such as body). What remains is boilerplate. A dynamic programme over the tree picks the likeliest
 state of all nodes together under two rules: below boilerplate all is boilerplate, and below the article only article
-or boilerplate. So no node contradicts an ancestor or a descendant. Texts of article nodes are the result.
+or boilerplate (inline elements in it are article). So no node contradicts an ancestor or a descendant. Texts of article nodes are the result.
 
 The trees are trained here on generated pages of many layouts with known article nodes (`n_pages`, a documented
 bound). Scripts, styles, head, forms, templates and their like are never text.
@@ -180,17 +180,18 @@ def decode(p: Page, article: np.ndarray, container: np.ndarray) -> list[int]:
     for k in range(n):
         if p.tag[k] in HIDDEN:
             logs[k] = [-50.0, -50.0, 0.0]
+    inline = [t not in BLOCK and t not in HIDDEN for t in p.tag]
     best = [list(x) for x in logs]
     for k in range(n - 1, 0, -1):
         b, up = best[k], best[p.parent[k]]
         up[CONTAINER] += max(b)
-        up[ARTICLE] += max(b[ARTICLE], b[BOILER])
+        up[ARTICLE] += b[ARTICLE] if inline[k] else max(b[ARTICLE], b[BOILER])
         up[BOILER] += b[BOILER]
     state = [0] * n
     state[0] = max((CONTAINER, ARTICLE, BOILER), key=lambda s: best[0][s])
     for k in range(1, n):
         up = state[p.parent[k]]
-        allowed = (CONTAINER, ARTICLE, BOILER) if up == CONTAINER else (ARTICLE, BOILER) if up == ARTICLE else (BOILER,)
+        allowed = (CONTAINER, ARTICLE, BOILER) if up == CONTAINER else (ARTICLE,) if up == ARTICLE and inline[k] else (ARTICLE, BOILER) if up == ARTICLE else (BOILER,)
         state[k] = max(allowed, key=lambda s: best[k][s])
     return state
 
@@ -241,8 +242,8 @@ def make_page(rng: random.Random) -> str:
     inner = heading + "".join(body_block() for _ in range(choose([0, 1, 2, 4, 8, 20])))
     if inner == "":
         inner = f"<p data-m>{word()}</p>"
-    if odds(0.06):  # a fragment: all of it is article, the root too
-        return prose(1, 4) if odds(0.4) else inner if odds(0.7) else f"<div data-m>{inner}</div>"
+    if odds(0.14):  # a fragment: all of it is article, the root too
+        return choose([prose(1, 4), word(), f"<p data-m>{word()}<p data-m>{word()}"]) if odds(0.5) else inner if odds(0.7) else f"<div data-m>{inner}</div>"
     if odds(0.2):
         inner = f"<div data-m>{inner}</div>"
     main = inner if odds(0.06) else choose([f"<article data-m>{inner}</article>"] * 5 + [f"<main data-m>{inner}</main>", f'<div data-m class="{choose(["content", "post", "entry-content", "article-body", "story"])}">{inner}</div>', f'<div data-m id="{choose(["content", "main", "text"])}">{inner}</div>', f"<main><article data-m>{inner}</article></main>"])
