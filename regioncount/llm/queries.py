@@ -8,6 +8,7 @@ from regioncount.llm.op10_pii import find
 from regioncount.llm.op1_sharding import shard_documents
 from regioncount.llm.op2_url import judge
 from regioncount.llm.op3_toxicity import score_documents
+from regioncount.llm.op4_jaccard import components_of
 from regioncount.llm.op5_bpe import digests
 from regioncount.llm.op7_quality import quality
 from regioncount.llm.op8_html import extract
@@ -26,6 +27,10 @@ def op3_toxicity(spark, sf_dir):
     return score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op4_jaccard(spark, sf_dir):
+    return components_of(table(spark, sf_dir, "documents"), k=3, pct=90)
+
+
 def op5_bpe(spark, sf_dir):
     return digests(table(spark, sf_dir, "documents"))
 
@@ -51,6 +56,7 @@ def queries() -> dict:
         "op1_sharding": op1_sharding,
         "op2_url": op2_url,
         "op3_toxicity": op3_toxicity,
+        "op4_jaccard": op4_jaccard,
         "op5_bpe": op5_bpe,
         "op7_quality": op7_quality,
         "op8_html": op8_html,
