@@ -24,6 +24,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 KINDS = ("email", "ip", "card", "phone")
 MAX_TOKENS = 16
@@ -398,3 +399,13 @@ def redact(docs: DataFrame, weights: np.ndarray | None = None) -> DataFrame:
             yield pa.RecordBatch.from_arrays(columns, names=names)
 
     return docs.mapInArrow(run, docs.schema)
+
+
+def redact_documents(docs: DataFrame, weights: np.ndarray | None = None) -> DataFrame:
+    """`redact`, and n_chars (where there is one) set to the new length in code points."""
+    out = redact(docs, weights)
+    names = {c.lower(): c for c in out.columns}
+    if "n_chars" not in names:
+        return out
+    n = names["n_chars"]
+    return out.withColumn(n, F.char_length("text").cast(out.schema[n].dataType))

@@ -266,7 +266,7 @@ def score_documents(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -
     return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), score.alias("score"), (score >= 0.5).cast("int").alias("predicted"))
 
 
-def keep_clean(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -> DataFrame:
-    """Documents that score under 0.5, with all their columns."""
-    model = train(*labelled_sample(docs, labels, per_class))
+def keep_clean(docs: DataFrame, labels: DataFrame, per_class: int = 1500, source: DataFrame | None = None) -> DataFrame:
+    """Documents that score under 0.5, with all their columns. The model learns from `source`, by default `docs`."""
+    model = train(*labelled_sample(docs if source is None else source, labels, per_class))
     return with_scores(docs, model).filter(F.col("__rc_score") < 0.5).drop("__rc_score")

@@ -10,6 +10,7 @@ from regioncount.llm.op2_url import judge
 from regioncount.llm.op3_toxicity import score_documents
 from regioncount.llm.op4_jaccard import components_of
 from regioncount.llm.op5_bpe import digests
+from regioncount.llm.op6_tokens import recount, sample_edits
 from regioncount.llm.op7_quality import quality
 from regioncount.llm.op8_html import extract
 from regioncount.llm.op9_decontamination import contained
@@ -35,6 +36,11 @@ def op5_bpe(spark, sf_dir):
     return digests(table(spark, sf_dir, "documents"))
 
 
+def op6_tokens(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return recount(docs.withColumn("edits", sample_edits(docs["text"])))
+
+
 def op7_quality(spark, sf_dir):
     return quality(table(spark, sf_dir, "documents"))
 
@@ -51,6 +57,12 @@ def op10_pii(spark, sf_dir):
     return find(table(spark, sf_dir, "documents"))
 
 
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
         "op1_sharding": op1_sharding,
@@ -58,10 +70,12 @@ def queries() -> dict:
         "op3_toxicity": op3_toxicity,
         "op4_jaccard": op4_jaccard,
         "op5_bpe": op5_bpe,
+        "op6_tokens": op6_tokens,
         "op7_quality": op7_quality,
         "op8_html": op8_html,
         "op9_decontamination": op9_decontamination,
         "op10_pii": op10_pii,
+        "pipeline": pipeline,
     }
 
 
