@@ -21,7 +21,7 @@ def check_covert(hist: DataFrame, spec: GridSpec, queries: DataFrame, keys: list
     h = F.col("h").cast("double")
     shape = hist.groupBy(*keys).agg(F.min((h == F.round(h)).cast("int")).cast("boolean").alias("integer"), (F.min(h) >= 0).alias("non_negative"))
     broken = metrics.violations(hist, spec, keys).groupBy(*keys).agg(F.sum("violated").alias("violated"))
-    below = answer.by_prefix(answer.prefix(hist, keys), queries, keys).groupBy(*keys).agg(F.round(F.avg((F.col("est") < 0).cast("double")), 6).alias("negative_answers"))
+    below = answer.by_prefix(answer.prefix(hist, keys), queries, keys).groupBy(*keys).agg(F.round(F.avg((F.col("est") < -1e-9).cast("double")), 6).alias("negative_answers"))
     if keys:
         return shape.join(broken, keys).join(below, keys)
     return shape.crossJoin(broken).crossJoin(below)

@@ -32,7 +32,7 @@ def median_relative_error(answers: DataFrame, by: list[str], floor: float = 1.0,
 def extra(answers: DataFrame, by: list[str], floor: float = 1.0) -> DataFrame:
     """(by, bias, rmse, p90_rel, share_negative, share_true_zero)."""
     gap, e = F.col("est") - F.col("truth"), relative_error(F.col("est"), F.col("truth"), floor)
-    return answers.groupBy(*by).agg(F.avg(gap).alias("bias"), F.sqrt(F.avg(gap * gap)).alias("rmse"), F.percentile(e, 0.9).alias("p90_rel"), F.avg((F.col("est") < 0).cast("double")).alias("share_negative"), F.avg((F.col("truth") == 0).cast("double")).alias("share_true_zero"))
+    return answers.groupBy(*by).agg(F.avg(gap).alias("bias"), F.sqrt(F.avg(gap * gap)).alias("rmse"), F.percentile(e, 0.9).alias("p90_rel"), F.avg((F.col("est") < -1e-9).cast("double")).alias("share_negative"), F.avg((F.col("truth") == 0).cast("double")).alias("share_true_zero"))
 
 
 def relative_distance(exact: DataFrame, noisy: DataFrame, other: DataFrame, keys: list[str] | None = None) -> DataFrame:
