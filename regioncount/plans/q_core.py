@@ -224,7 +224,7 @@ def _tiled(spark, d):
     from regioncount.operators import fit_tiled
 
     noisy = core_noisy(spark, d, reps=1).drop("rep")
-    fitted, gap, rounds = fit_tiled.l1(noisy, _S4, tile=4, rounds=60)
+    fitted, gap, rounds = fit_tiled.l1(noisy, _S4, tile=4, rounds=20, inner=1)
     return r6(fitted.withColumn("gap", F.lit(gap)).withColumn("rounds", F.lit(rounds)))
 
 
