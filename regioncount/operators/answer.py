@@ -9,13 +9,25 @@ from regioncount.functions.fn import lattice_sign
 from regioncount.operators.schemas import GridSpec
 
 
+#: Queries up to which a range join broadcasts them; beyond, `by_prefix` answers at four look-ups each.
+MOST_QUERIES = 200_000
+
+
+def _few(queries: DataFrame) -> DataFrame:
+    """The queries as a broadcast side, after a check of their number."""
+    n = queries.count()
+    if n > MOST_QUERIES:
+        raise ValueError(f"{n} queries; use by_prefix")
+    return F.broadcast(queries)
+
+
 def by_sum(hist: DataFrame, queries: DataFrame, keys: list[str] | None = None) -> DataFrame:
     """(keys, q_id, est): faces minus edges plus vertices inside each rectangle, by a range join. A query reads its
     own area; for many queries use `by_prefix`."""
     keys = keys or []
     q = queries.select("q_id", *[(2 * F.col(c)).alias(c) for c in ("r0", "r1", "c0", "c1")])
     inside = (F.col("u") >= F.col("r0")) & (F.col("u") <= F.col("r1")) & (F.col("v") >= F.col("c0")) & (F.col("v") <= F.col("c1"))
-    return hist.join(F.broadcast(q), inside).groupBy(*keys, "q_id").agg(F.sum(lattice_sign(F.col("u"), F.col("v")) * F.col("h")).alias("est"))
+    return hist.join(_few(q), inside).groupBy(*keys, "q_id").agg(F.sum(lattice_sign(F.col("u"), F.col("v")) * F.col("h")).alias("est"))
 
 
 def prefix(hist: DataFrame, keys: list[str] | None = None) -> DataFrame:
@@ -61,7 +73,7 @@ def true_count(runs: DataFrame, queries: DataFrame) -> DataFrame:
     q = queries.select("q_id", "r0", "r1", "c0", "c1")
     faces = runs.filter("u % 2 = 0")
     hit = (F.col("u") >= 2 * F.col("r0")) & (F.col("u") <= 2 * F.col("r1")) & (F.col("vlo") <= 2 * F.col("c1")) & (F.col("vhi") >= 2 * F.col("c0"))
-    found = faces.join(F.broadcast(q), hit).select("q_id", "body_id").distinct().groupBy("q_id").agg(F.count(F.lit(1)).alias("truth"))
+    found = faces.join(_few(q), hit).select("q_id", "body_id").distinct().groupBy("q_id").agg(F.count(F.lit(1)).alias("truth"))
     return q.select("q_id").join(found, "q_id", "left").select("q_id", F.coalesce("truth", F.lit(0)).alias("truth"))
 
 

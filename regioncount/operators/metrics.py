@@ -46,12 +46,14 @@ def violations(hist: DataFrame, spec: GridSpec, keys: list[str] | None = None, t
     """(keys, cls, members, violated, pct) of the constraint classes."""
     keys = keys or []
     cons = lattice.constraints(hist.sparkSession, spec)
-    pairs = F.broadcast(cons.filter("cls <> 'C3'"))
+    # constraints are as many as the public lattice has counts, times three: broadcast for small lattices only
+    side = F.broadcast if spec.n <= 100 else (lambda df: df)
+    pairs = side(cons.filter("cls <> 'C3'"))
     low = hist.select(*keys, F.col("u").alias("lo_u"), F.col("v").alias("lo_v"), F.col("h").alias("lo"))
     high = hist.select(*keys, F.col("u").alias("hi_u"), F.col("v").alias("hi_v"), F.col("h").alias("hi"))
     order = low.join(pairs, ["lo_u", "lo_v"]).join(high, [*keys, "hi_u", "hi_v"]).select(*keys, "cls", (F.col("lo") - F.col("hi") > tolerance).cast("long").alias("bad"))
     steps = F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a in (-1, 0, 1) for b in (-1, 0, 1)])
-    block = F.broadcast(cons.filter("cls = 'C3'").select("lo_u", "lo_v", F.inline(steps)).select("lo_u", "lo_v", (F.col("lo_u") + F.col("a")).alias("u"), (F.col("lo_v") + F.col("b")).alias("v")))
+    block = side(cons.filter("cls = 'C3'").select("lo_u", "lo_v", F.inline(steps)).select("lo_u", "lo_v", (F.col("lo_u") + F.col("a")).alias("u"), (F.col("lo_v") + F.col("b")).alias("v")))
     sums = hist.join(block, ["u", "v"]).groupBy(*keys, "lo_u", "lo_v").agg(F.sum(lattice_sign(F.col("u"), F.col("v")) * F.col("h")).alias("s"))
     third = sums.select(*keys, F.lit("C3").alias("cls"), (F.col("s") < -max(tolerance, 1e-9)).cast("long").alias("bad"))
     both = order.union(third)

@@ -115,6 +115,8 @@ def components_near(complex_: DataFrame, body: float) -> DataFrame:
     f = complex_.filter("kind = 'face'").select(F.col("comp_id").alias("face"), *[F.col(c).alias("f" + c) for c in ("xmin", "xmax", "ymin", "ymax")])
     c = complex_.select("comp_id", "xmin", "xmax", "ymin", "ymax")
     b = F.lit(body)
+    if f.count() > 20_000:
+        raise ValueError("too many faces for a broadcast; bound the sensitivity by regions")
     near = c.join(F.broadcast(f), (F.col("xmin") <= F.col("fxmax") + b) & (F.col("xmax") >= F.col("fxmin") - b) & (F.col("ymin") <= F.col("fymax") + b) & (F.col("ymax") >= F.col("fymin") - b))
     return near.groupBy(F.col("face").alias("comp_id")).agg(F.count(F.lit(1)).alias("touched"))
 
