@@ -56,3 +56,13 @@ def test_plans(spark, sf_dir):
     b = x.bodies(spark, sf_dir, "even")
     plan = euler.histogram_boxes(b, GridSpec(20.0, 20))._jdf.queryExecution().toString()
     assert "Python" not in plan and "CartesianProduct" not in plan and "o_orderpriority" not in plan.split("Physical Plan")[-1]
+
+
+def test_hull_aggregate(spark):
+    from regioncount.functions import udaf
+
+    udaf.register(spark)
+    df = spark.createDataFrame([(1, 0.0, 0.0), (1, 1.0, 0.0), (1, 1.0, 1.0), (1, 0.5, 0.2), (2, 3.0, 4.0)], "g int, x double, y double")
+    df.createOrReplaceTempView("hull_points")
+    got = {r.g: r.h for r in spark.sql("SELECT g, hull_wkt(x, y) AS h FROM hull_points GROUP BY g").collect()}
+    assert got == {1: "POLYGON((0.0 0.0, 1.0 0.0, 1.0 1.0, 0.0 0.0))", 2: "POINT(3.0 4.0)"}
