@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import sys
 import tempfile
+import types
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -62,3 +65,59 @@ def cut(df: DataFrame) -> DataFrame:
 
 def clean_text(name: str = "text"):
     return F.coalesce(F.col(name), F.lit(""))
+
+
+class Recent:
+    """Bounded memory of a function's results, by key: `young` takes new ones, and becomes `old` when it is full.
+
+    Keys that are asked for again move back to `young`, so frequent ones stay and rare ones go. Keys longer than
+    `longest` are not kept.
+    """
+
+    def __init__(self, make, size: int, longest: int = 64):
+        self.make, self.size, self.longest = make, size, longest
+        self.young: dict = {}
+        self.old: dict = {}
+        #: Fast path of callers: `get(key)`, then `miss(key)` if that is None. Both dicts stay the same objects.
+        self.get = self.young.get
+
+    def miss(self, key):
+        found = self.old.get(key)
+        if found is None:
+            found = self.make(key)
+            if len(key) > self.longest:
+                return found
+        if len(self.young) >= self.size:
+            self.old.clear()
+            self.old.update(self.young)
+            self.young.clear()
+        self.young[key] = found
+        return found
+
+    def __call__(self, key):
+        found = self.get(key)
+        return self.miss(key) if found is None else found
+
+    def clear(self) -> None:
+        self.young.clear()
+        self.old.clear()
+
+
+def slices(batches: Iterator, rows: int = 256) -> Iterator:
+    """Record batches cut into short ones, so that what a task makes of one stays small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
+def once_per_process(key: str, make):
+    """What `make` gives, kept in this process under `key`; only the last key is kept.
+
+    Functions reach workers by value, so their modules' globals are new in every task; this holder is not.
+    """
+    holder = sys.modules.setdefault("__regioncount_process__", types.ModuleType("__regioncount_process__"))
+    if getattr(holder, "key", None) != key:
+        holder.key, holder.value = None, None
+        holder.value = make()
+        holder.key = key
+    return holder.value

@@ -18,17 +18,22 @@ from __future__ import annotations
 import hashlib
 import json
 import unicodedata
+import zlib
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from regioncount.llm.common import Recent, once_per_process, slices
+
 #: How byte-level vocabularies write bytes (printable ones as themselves, the others from 256 up).
 _PRINTABLE = [*range(33, 127), *range(161, 173), *range(174, 256)]
 #: Fixed value: the pre-tokenizer's pattern in the vocabulary file.
 _PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 _END = "\x01"
-CACHE_ENTRIES = 300_000
+#: Chunks and token pairs that a task remembers.
+CACHE_ENTRIES, PAIR_ENTRIES = 150_000, 300_000
 
 
 def byte_alphabet() -> list[str]:
@@ -36,24 +41,27 @@ def byte_alphabet() -> list[str]:
     return [chr(b) if b in _PRINTABLE else chr(next(spare)) for b in range(256)]
 
 
-class Encoder:
-    """Vocabulary, merges and the automaton; pickles as the vocabulary only, and is built once in each worker."""
+class Vocabulary:
+    """A vocabulary file as it travels to workers: compressed, read by the driver alone, built once in a process."""
 
     def __init__(self, path: str):
-        with open(path, encoding="utf-8") as f:
-            spec = json.load(f)
+        with open(path, "rb") as f:
+            raw = f.read()
+        self.key, self.packed = hashlib.sha256(raw).hexdigest(), zlib.compress(raw)
+
+    def encoder(self) -> "Encoder":
+        return once_per_process(self.key, lambda: Encoder(zlib.decompress(self.packed)))
+
+
+class Encoder:
+    """Vocabulary, merges and the automaton of a vocabulary file's content."""
+
+    def __init__(self, raw: bytes):
+        spec = json.loads(raw)
         self.vocab: dict[str, int] = spec["model"]["vocab"]
         self.merges = [m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"]]
         self.suffix: str = spec["model"]["end_of_word_suffix"]
         self.special: dict[str, int] = {t["content"]: t["id"] for t in spec["added_tokens"]}
-        self._ready = False
-
-    def __getstate__(self):
-        return {"vocab": self.vocab, "merges": self.merges, "suffix": self.suffix, "special": self.special, "_ready": False}
-
-    def build(self) -> "Encoder":
-        if self._ready:
-            return self
         import ahocorasick
         import regex
 
@@ -80,10 +88,9 @@ class Encoder:
         self.pieces = regex.compile(_PIECES).findall
         self.chunks = regex.compile(r"\S+").findall
         self.specials = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")").split if self.special else None
-        self.cache: dict[str, tuple[int, str, str]] = {}
+        self.cache = Recent(self._entry, CACHE_ENTRIES)
+        self.words = Recent(self._piece, CACHE_ENTRIES)
         self.fits: dict[int, bool] = {}
-        self._ready = True
-        return self
 
     def compatible(self, a: int, b: int) -> bool:
         """Whether a and b side by side stay as they are.
@@ -122,7 +129,7 @@ class Encoder:
                 key = p * n + token
                 ok = fits.get(key)
                 if ok is None:
-                    if len(fits) > 2_000_000:
+                    if len(fits) >= PAIR_ENTRIES:
                         fits.clear()
                     ok = fits[key] = self.compatible(p, token)
                 if not ok:
@@ -150,32 +157,36 @@ class Encoder:
         out: list[int] = []
         # one character at a time, so that a final sigma is lowered like any other
         text = unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower()
+        get, miss = self.words.get, self.words.miss
         for piece in self.pieces(text):
-            if piece.isascii() and piece.isprintable():
-                out += self.word_ids(piece)
-            else:
-                out += self.word_ids("".join([self.alphabet[b] for b in piece.encode("utf-8")]))
+            out += get(piece) or miss(piece)
         return out
 
+    def _piece(self, piece: str) -> list[int]:
+        if not (piece.isascii() and piece.isprintable()):
+            piece = "".join([self.alphabet[b] for b in piece.encode("utf-8")])
+        return self.word_ids(piece)
+
+    def forget(self) -> None:
+        """Empty the caches: a worker lives on between tasks."""
+        self.cache.clear()
+        self.words.clear()
+        self.fits.clear()
+
     def split(self, text: str) -> list[str]:
         """White-space separated chunks, white space as the vocabulary's pattern sees it."""
         if text.isascii() and not any(c in text for c in "\x1c\x1d\x1e\x1f"):
             return text.split()
         return self.chunks(text)
 
-    def entry(self, chunk: str) -> tuple[int, str, str]:
-        """(number of ids, ids joined by a space, decoded text) of a chunk, cached."""
-        if len(self.cache) >= CACHE_ENTRIES:
-            self.cache.clear()
+    def _entry(self, chunk: str) -> tuple[int, str, str]:
+        """(number of ids, ids joined by a space, decoded text) of a chunk."""
         ids = self.chunk_ids(chunk)
-        found = (len(ids), " ".join(map(str, ids)), " ".join([self.token[i] for i in ids]))
-        if len(chunk) <= 64:
-            self.cache[chunk] = found
-        return found
+        return len(ids), " ".join(map(str, ids)), " ".join([self.token[i] for i in ids])
 
     def entries(self, text: str) -> list[tuple[int, str, str]]:
-        get, entry = self.cache.get, self.entry
-        return [get(c) or entry(c) for c in self.split(text)]
+        get, miss = self.cache.get, self.cache.miss
+        return [get(c) or miss(c) for c in self.split(text)]
 
     def encode(self, text: str | None) -> list[int]:
         return [i for c in self.split(text or "") for i in self.chunk_ids(c)]
@@ -185,6 +196,10 @@ class Encoder:
         return " ".join([self.token[i] for i in ids])
 
 
+def load(path: str | None = None) -> Encoder:
+    return Vocabulary(path or encoder_path()).encoder()
+
+
 def encoder_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
@@ -193,13 +208,13 @@ def encoder_path(name: str = "word_bpe_49k.json") -> str:
 
 def digests(docs: DataFrame, path: str | None = None) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256) of every whole text."""
-    shared = docs.sparkSession.sparkContext.broadcast(Encoder(path or encoder_path()))
+    shared = docs.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
     docs = docs.select("doc_id", "text")
     id_type = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = shared.value.build()
-        for batch in batches:
+        enc = shared.value.encoder()
+        for batch in slices(batches):
             n, ids, decoded = [], [], []
             for text in batch.column(1):
                 found = enc.entries(text.as_py() or "")
@@ -207,39 +222,42 @@ def digests(docs: DataFrame, path: str | None = None) -> DataFrame:
                 ids.append(hashlib.sha256(" ".join([x[1] for x in found]).encode()).hexdigest())
                 decoded.append(hashlib.sha256(" ".join([x[2] for x in found]).encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+        enc.forget()
 
     return docs.mapInArrow(run, f"doc_id {id_type}, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def encode(docs: DataFrame, path: str | None = None, keep: list[str] | None = None) -> DataFrame:
     """The columns `keep` (doc_id by default), n_tokens and the ids of every whole text."""
-    shared = docs.sparkSession.sparkContext.broadcast(Encoder(path or encoder_path()))
+    shared = docs.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
     keep = keep or ["doc_id"]
     rows = docs.select(*keep, docs["text"].alias("__rc_text"))
     schema = ", ".join(f"`{c}` {rows.schema[c].dataType.simpleString()}" for c in keep)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = shared.value.build()
-        for batch in batches:
+        enc = shared.value.encoder()
+        for batch in slices(batches):
             lists = []
             for text in batch.column(len(keep)):
                 joined = " ".join([x[1] for x in enc.entries(text.as_py() or "")])
-                lists.append(list(map(int, joined.split(" "))) if joined else [])
-            ids = pa.array(lists, pa.list_(pa.int32()))
+                lists.append(np.array(joined.split(" "), np.int32) if joined else np.zeros(0, np.int32))
+            offsets = pa.array(np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int32))
+            ids = pa.ListArray.from_arrays(offsets, pa.array(np.concatenate(lists)))
             n = pa.array([len(x) for x in lists], pa.int64())
             yield pa.RecordBatch.from_arrays([*[batch.column(k) for k in range(len(keep))], n, ids], names=[*keep, "n_tokens", "ids"])
+        enc.forget()
 
     return rows.mapInArrow(run, f"{schema}, n_tokens long, ids array<int>")
 
 
 def decode(encoded: DataFrame, path: str | None = None) -> DataFrame:
     """(doc_id, decoded) from the ids."""
-    shared = encoded.sparkSession.sparkContext.broadcast(Encoder(path or encoder_path()))
+    shared = encoded.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
     rows = encoded.select("doc_id", "ids")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = shared.value.build()
-        for batch in batches:
+        enc = shared.value.encoder()
+        for batch in slices(batches):
             texts = [enc.decode(x.as_py() or []) for x in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], names=["doc_id", "decoded"])
 
