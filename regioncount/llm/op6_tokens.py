@@ -1,7 +1,7 @@
 """Token counts that follow edits: a segment tree over the pre-tokens of each document.
 
-A leaf is a run of characters without white space and the white space after it; it holds its number of characters and
-of tokens, and inner nodes hold sums. An edit is found by descent over character sums. Only the leaves that it touches
+A leaf is a run of LEAF pre-token chunks (characters without white space) and the white space after each; it holds its
+number of characters and of tokens, and inner nodes hold sums. An edit is found by descent over character sums. Only the leaves that it touches
 and one leaf on each side (the boundary context: no token reaches across white space) are encoded again, and the sums
 above them are updated. Leaves merged by an edit become one leaf, the others empty, so the tree keeps its shape.
 
@@ -18,7 +18,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from regioncount.llm.op5_bpe import Encoder, encoder_path
+from regioncount.llm.common import Recent, slices
+from regioncount.llm.op5_bpe import CACHE_ENTRIES, Vocabulary, encoder_path
+
+
+#: Chunks of a leaf.
+LEAF = 8
 
 
 class TokenTree:
@@ -108,7 +113,7 @@ def recount(docs: DataFrame, path: str | None = None) -> DataFrame:
 
     `edits` is an array of (start, end, replacement) in code points.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(Encoder(path or encoder_path()))
+    shared = docs.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
     docs = docs.select("doc_id", "text", "edits")
     kind = docs.schema["doc_id"].dataType.simpleString()
     names = ["n_before", "n_tokens", "n_edits", "n_leaves", "n_encoded"]
@@ -116,17 +121,15 @@ def recount(docs: DataFrame, path: str | None = None) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import regex
 
-        enc = shared.value.build()
-        leaf = regex.compile(r"\s*\S+\s*|\s+").findall
-        get = enc.cache.get
+        enc = shared.value.encoder()
+        leaf = regex.compile(rf"\s*+(?:\S++\s*+){{1,{LEAF}}}+|\s++").findall
+        seen = Recent(lambda chunk: len(enc.chunk_ids(chunk)), 3 * CACHE_ENTRIES)
+        get, miss = seen.get, seen.miss
 
         def count(piece: str) -> int:
-            found = get(piece)
-            if found is None:
-                found = enc.cache[piece] = (sum([enc.entry(c)[0] for c in enc.split(piece)]),)
-            return found[0]
+            return sum([get(c) or miss(c) for c in enc.split(piece)])
 
-        for batch in batches:
+        for batch in slices(batches):
             out = []
             for text, edits in zip(batch.column(1), batch.column(2), strict=True):
                 tree = TokenTree(text.as_py() or "", count, leaf)
@@ -137,6 +140,7 @@ def recount(docs: DataFrame, path: str | None = None) -> DataFrame:
                 out.append((before, tree.total, len(edits), len(tree.leaves) if tree.length else 0, tree.encoded))
             columns = zip(*out, strict=True) if out else [[] for _ in names]
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, pa.int64()) for c in columns]], names=["doc_id", *names])
+        enc.forget()
 
     return docs.mapInArrow(run, f"doc_id {kind}, " + ", ".join(f"{n} long" for n in names))
 
