@@ -2,11 +2,11 @@
 
 A word's vector is the mean of the vectors of its character n-grams (3 to 5, with word ends marked) and of itself, so
 an unseen misspelling shares most of its vector with the word it comes from. The vectors of the words of a window are
-averaged and go through a linear softmax; vectors and softmax are trained together by gradient steps. Windows of
+averaged (a repeated word counts once) and go through a linear softmax; vectors and softmax are trained together by gradient steps. Windows of
 WINDOW words cover the whole text, and a text is as toxic as its most toxic window: one insult in a long text is not
 averaged away.
 
-Training uses at most `per_class` labelled texts of each class (a documented bound), chosen by a hash of doc_id among
+Training uses at most `per_class` labelled toxic texts and CLEAN_SHARE times as many clean ones (a documented bound), chosen by a hash of doc_id among
 rows whose crc32(doc_id as text) mod 5 is not 0, whole texts each. A part of the windows is repeated with random
 misspellings. The threshold is then set on training texts kept from the fit, so that 0.5 separates whole texts.
 
@@ -20,6 +20,7 @@ from __future__ import annotations
 
 import random
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -27,13 +28,17 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
+
+from regioncount.llm.common import Recent
 
 BUCKETS = 1 << 17
 #: Words of a window: when scoring and in later passes, and in the first pass.
 WINDOW, FIRST_WINDOW = 12, 24
 DIM = 8
-CACHE_ENTRIES = 400_000
+#: Clean training texts for each toxic one.
+CLEAN_SHARE = 2
+#: Words that a task remembers.
+CACHE_ENTRIES = 100_000
 _STRIP = "".join(map(chr, [*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)]))
 
 
@@ -53,9 +58,9 @@ def core(chunk: str) -> str:
     return chunk.strip(_STRIP) or chunk
 
 
-def window_starts(n_words: int, size: int) -> np.ndarray:
+def window_starts(n_words: int, size: int) -> list[int]:
     """Starts of the windows; a last one of under half a window joins the one before."""
-    starts = np.arange(0, n_words, size)
+    starts = list(range(0, n_words, size))
     return starts[:-1] if len(starts) > 1 and n_words - starts[-1] < size // 2 else starts
 
 
@@ -86,26 +91,25 @@ class Model:
     def word(self, chunk: str) -> float:
         return float(self.weight[grams(core(chunk))].mean())
 
-    def logit(self, text: str, cache: dict[str, float]) -> float:
+    def seen(self) -> Recent:
+        return Recent(self.word, CACHE_ENTRIES)
+
+    def logit(self, text: str, seen: Recent) -> float:
         words = text_words(text)
         if not words:
             return self.bias - 10.0
-        get, values = cache.get, []
-        for w in words:
-            v = get(w)
-            if v is None:
-                v = self.word(w)
-                if len(cache) >= CACHE_ENTRIES:
-                    cache.clear()
-                if len(w) <= 64:
-                    cache[w] = v
-            values.append(v)
-        starts = window_starts(len(values), WINDOW)
-        sums = np.add.reduceat(np.array(values), starts)
-        return float((sums / np.maximum(np.diff([*starts, len(values)]), WINDOW)).max()) + self.bias
-
-    def score(self, text: str, cache: dict[str, float]) -> float:
-        return float(1 / (1 + np.exp(-np.clip(self.logit(text, cache) - self.threshold, -30, 30))))
+        get, miss, best = seen.get, seen.miss, -np.inf
+        starts = window_starts(len(words), WINDOW)
+        for a, b in zip(starts, [*starts[1:], len(words)], strict=True):
+            bag, total = dict.fromkeys(words[a:b]), 0.0
+            for w in bag:
+                v = get(w)
+                total += miss(w) if v is None else v
+            best = max(best, total / max(len(bag), WINDOW))
+        return best + self.bias
+
+    def score(self, text: str, seen: Recent) -> float:
+        return float(1 / (1 + np.exp(-np.clip(self.logit(text, seen) - self.threshold, -30, 30))))
 
 
 class Windows:
@@ -113,14 +117,12 @@ class Windows:
 
     def __init__(self):
         self.vocab: dict[str, int] = {}
-        self.ids: list[int] = []
-        self.first: list[int] = []
-        self.label: list[int] = []
+        self.ids, self.first, self.label = array("i"), array("q"), array("b")
 
     def add(self, words: list[str], label: int) -> None:
         self.first.append(len(self.ids))
         self.label.append(label)
-        self.ids += [self.vocab.setdefault(w, len(self.vocab)) for w in words]
+        self.ids.extend(self.vocab.setdefault(w, len(self.vocab)) for w in dict.fromkeys(words))
 
     def add_text(self, words: list[str], label: int, size: int, rng: random.Random) -> None:
         bounds = [*window_starts(len(words), size), len(words)]
@@ -132,11 +134,13 @@ class Windows:
 
 def fit(windows: Windows, updates: int, rate: float = 0.15, seed: int = 1, batch: int = 512) -> tuple[np.ndarray, float]:
     """Vectors and softmax trained together by adaptive gradient steps: (logit share of each bucket, bias)."""
-    ids, y = np.array(windows.ids), np.array(windows.label)
-    first = np.array([*windows.first, len(ids)])
-    n_grams = [grams(w) for w in windows.vocab]
-    ptr = np.concatenate([[0], np.cumsum([len(g) for g in n_grams])])
-    flat = np.concatenate([np.array(g) for g in n_grams])
+    ids, y = np.array(windows.ids), np.array(windows.label).astype(int)
+    first = np.append(np.array(windows.first), len(ids))
+    buckets, sizes = array("i"), array("q", [0])
+    for word in windows.vocab:
+        buckets.extend(found := grams(word))
+        sizes.append(len(found))
+    ptr, flat = np.cumsum(np.array(sizes)), np.array(buckets)
     weight_of = np.where(y == 1, len(y) / 2 / max(1, (y == 1).sum()), len(y) / 2 / max(1, (y == 0).sum()))
     gen = np.random.default_rng(seed)
     e, w = gen.normal(0, 0.1, (BUCKETS, DIM)).astype(np.float32), gen.normal(0, 0.1, (2, DIM)).astype(np.float32)
@@ -207,8 +211,8 @@ def train(texts: list[str], labels: list[int], updates: int = 250, seed: int = 1
                 short.add_text(part, y, WINDOW, rng)
         weight, bias = fit(short, updates, seed=seed + turn)
     model = Model(weight, bias, 0.0)
-    cache: dict[str, float] = {}
-    model.threshold = best_threshold(np.array([model.logit(t, cache) for t, _ in apart]), np.array([y for _, y in apart]))
+    seen = model.seen()
+    model.threshold = best_threshold(np.array([model.logit(t, seen) for t, _ in apart]), np.array([y for _, y in apart]))
     return model
 
 
@@ -232,36 +236,35 @@ def held_out(doc_id: Column) -> Column:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -> tuple[list[str], list[int]]:
-    """At most per_class whole texts of each class, never of held-out rows; which ones, a hash of doc_id decides."""
+    """At most per_class whole toxic texts and CLEAN_SHARE times as many clean ones, never of held-out rows; which ones,
+    a hash of doc_id decides."""
     usable = labels.select(F.col("doc_id").alias("__rc_id"), F.col("toxic").cast("int").alias("__rc_toxic")).filter(F.col("__rc_id").isNotNull() & F.col("__rc_toxic").isin(0, 1) & ~held_out(F.col("__rc_id")))
     chosen = None
     for c in (0, 1):
-        part = usable.filter(F.col("__rc_toxic") == c).orderBy(F.xxhash64("__rc_id"), "__rc_id").limit(per_class)
+        part = usable.filter(F.col("__rc_toxic") == c).orderBy(F.xxhash64("__rc_id"), "__rc_id").limit(per_class if c else CLEAN_SHARE * per_class)
         chosen = part if chosen is None else chosen.union(part)
     rows = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("__rc_id")).filter(F.col("text").isNotNull())
-    found = sorted((r["doc_id"], r["text"], r["__rc_toxic"]) for r in rows.select("doc_id", "text", "__rc_toxic").limit(4 * per_class).collect())
+    found = sorted((r["doc_id"], r["text"], r["__rc_toxic"]) for r in rows.select("doc_id", "text", "__rc_toxic").limit(4 * (1 + CLEAN_SHARE) * per_class).collect())
     return [t for _, t, _ in found], [y for _, _, y in found]
 
 
-def with_scores(docs: DataFrame, model: Model) -> DataFrame:
-    """All columns, and __rc_score of the column `text`."""
+def scorer(docs: DataFrame, model: Model):
+    """Column function of a text's score. Only texts travel to Python, and only numbers back."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    names, at = docs.columns, [c.lower() for c in docs.columns].index("text")
-    schema = T.StructType([*docs.schema.fields, T.StructField("__rc_score", T.DoubleType())])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    @F.arrow_udf("double")
+    def score(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
         found = shared.value
-        cache = found.__dict__.setdefault("_cache", {})
-        for batch in batches:
-            scores = [found.score(x.as_py() or "", cache) for x in batch.column(at)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(scores, pa.float64())], names=[*names, "__rc_score"])
+        seen = found.seen()
+        for texts in arrays:
+            yield pa.array([found.score(x.as_py() or "", seen) for x in texts], pa.float64())
 
-    return docs.mapInArrow(run, schema)
+    return score
 
 
 def score_documents(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -> DataFrame:
     model = train(*labelled_sample(docs, labels, per_class))
-    scored = with_scores(docs.select("doc_id", "text"), model)
+    scored = docs.select("doc_id", scorer(docs, model)("text").alias("__rc_score"))
     score = F.col("__rc_score")
     return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), score.alias("score"), (score >= 0.5).cast("int").alias("predicted"))
 
@@ -269,4 +272,4 @@ def score_documents(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -
 def keep_clean(docs: DataFrame, labels: DataFrame, per_class: int = 1500, source: DataFrame | None = None) -> DataFrame:
     """Documents that score under 0.5, with all their columns. The model learns from `source`, by default `docs`."""
     model = train(*labelled_sample(docs if source is None else source, labels, per_class))
-    return with_scores(docs, model).filter(F.col("__rc_score") < 0.5).drop("__rc_score")
+    return docs.filter(scorer(docs, model)("text") < 0.5)

@@ -89,7 +89,7 @@ def test_toxicity_table(spark, messy, no_documents):
     marks = spark.createDataFrame([(1000 + k, None, y) for k, y in enumerate(labels)] + [(3, 1, None), (None, 1, 1)], "doc_id long, quality int, toxic int")
     used, _ = t.labelled_sample(docs, marks, 5000)
     by_text = {x: 1000 + k for k, x in enumerate(texts)}
-    assert used and all(zlib.crc32(str(by_text[x]).encode()) % 5 for x in used) and len(t.labelled_sample(docs, marks, 10)[0]) == 20
+    assert used and all(zlib.crc32(str(by_text[x]).encode()) % 5 for x in used) and len(t.labelled_sample(docs, marks, 10)[0]) == 30
     rows = t.score_documents(docs, marks).collect()
     assert len(rows) == docs.count() and all(0 <= r.score <= 1 and r.predicted == int(r.score >= 0.5) for r in rows)
     assert all(r.held_out == (zlib.crc32(("" if r.doc_id is None else str(r.doc_id)).encode()) % 5 == 0) for r in rows)
