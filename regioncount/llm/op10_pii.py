@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from regioncount.llm.common import slices
+
 KINDS = ("email", "ip", "card", "phone")
 MAX_TOKENS = 16
 REACH = 4
@@ -361,7 +363,7 @@ def find(docs: DataFrame, weights: np.ndarray | None = None) -> DataFrame:
     docs = docs.select("doc_id", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             counts, sha, spans, more = [[] for _ in KINDS], [], [], []
             for x in batch.column(1):
                 base, every = all_spans(x.as_py() or "", weights)
@@ -392,7 +394,7 @@ def redact(docs: DataFrame, weights: np.ndarray | None = None) -> DataFrame:
     names, at = docs.columns, [c.lower() for c in docs.columns].index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             texts = [None if x is None else mask(x, all_spans(x, weights)[1]) for x in batch.column(at).to_pylist()]
             columns = batch.columns
             columns[at] = pa.array(texts, batch.column(at).type)

@@ -12,7 +12,8 @@ Lists of the whole corpus fit no task, so documents are first brought together:
 2. A first T-occurrence test over all classes, as an equi-join: each class gives its least |x| - T + k hashes; a
    partner must share k of these, so a class of whose hashes fewer than k occur elsewhere has no partner.
 3. The rest is divided by an exact partition scheme: similar sets differ in at most D hashes, so that among more than
-   D parts of the hash range one part at least is equal in both. Classes with an equal part belong to one block.
+   D parts of the hash range one part at least is equal in both. Hashes with very long lists are set aside here too.
+   Classes with an equal part belong to one block.
 4. DivideSkip runs in every block on real sets and verifies exactly. Blocks over `chunk_hashes` are cut into chunks:
    each chunk is searched, then one member of each component found in each chunk, and at last those outside the
    block's largest component against every chunk; documents already connected are never compared again.
@@ -38,11 +39,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from regioncount.llm.common import Scratch
+from regioncount.llm.common import Recent, Scratch, slices
 from regioncount.llm.components import components
 
 _M = np.uint64(0x9E3779B97F4A7C15)
-_CACHE = 500_000
+#: Words that a task remembers.
+WORDS = 100_000
 
 
 # ---------------------------------------------------------------- sets
@@ -53,18 +55,16 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def word_hashes(text: bytes, cache: dict[bytes, int]) -> np.ndarray:
+def word_hash(word: bytes) -> int:
+    return int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little")
+
+
+def word_hashes(text: bytes, seen: Recent) -> np.ndarray:
     """Hashes of the lower-cased (A-Z) words between ASCII white space."""
-    out, get = [], cache.get
+    get, miss, out = seen.get, seen.miss, []
     for w in text.lower().split():
         h = get(w)
-        if h is None:
-            h = int.from_bytes(hashlib.blake2b(w, digest_size=8).digest(), "little")
-            if len(cache) >= _CACHE:
-                cache.clear()
-            if len(w) <= 64:
-                cache[w] = h
-        out.append(h)
+        out.append(miss(w) if h is None else h)
     return np.array(out, np.uint64)
 
 
@@ -86,9 +86,8 @@ def self_overlap(n: int, pct: int) -> int:
 
 def prefix_rule(n: int, pct: int) -> tuple[int, int]:
     """(length of the prefix, hits it must have): of |x| - T + k least hashes a partner shares k."""
-    k = max(1, n // 20)
     t = self_overlap(n, pct)
-    k = min(k, t)
+    k = min(t, max(1, (100 - pct) * n // 200))
     return n - t + k, k
 
 
@@ -98,11 +97,11 @@ def set_rows(docs: DataFrame, k: int, pct: int, whole: bool) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache: dict[bytes, int] = {}
-        for batch in batches:
+        seen = Recent(word_hash, WORDS)
+        for batch in slices(batches):
             cids, sizes, lists = [], [], []
             for x in batch.column(1):
-                s = shingle_set(word_hashes(x.as_py() or b"", cache), k)
+                s = shingle_set(word_hashes(x.as_py() or b"", seen), k)
                 cids.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
                 sizes.append(len(s))
                 lists.append((s if whole else s[: prefix_rule(len(s), pct)[0]]).view(np.int64))
@@ -129,26 +128,55 @@ def level_rule(level: int, edges: list[int], pct: int) -> tuple[int, int]:
     return d, d + 1 + d // 12
 
 
-def signatures(s: np.ndarray, edges: list[int], pct: int) -> np.ndarray:
+def signatures(s: np.ndarray, edges: list[int], pct: int, common: np.ndarray | None = None) -> np.ndarray:
     """Hashes of the parts of a set, for its own band and the one below. An empty part counts only where so many are
-    empty that the equal part of a pair might be one of them."""
+    empty that the equal part of a pair might be one of them.
+
+    `common` (sorted) holds hashes that are left out of the parts: sets that differ in at most D hashes do so without
+    them as well, and long lists no longer make parts equal by themselves.
+    """
     h, out = s.view(np.uint64), []
     band = bisect_right(edges, len(h)) - 1
+    if common is not None and len(common):
+        h = h[common[np.minimum(np.searchsorted(common, h), len(common) - 1)] != h]
     spread = _mix(h)
     for level in (band, band - 1):
         if level < 0:
             continue
         d, m = level_rule(level, edges, pct)
         part = ((h >> np.uint64(32)) * np.uint64(m)) >> np.uint64(32)
-        first = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]]))
-        key = _mix(part[first] + np.uint64(level) * np.uint64(1 << 32))
-        out.append(_mix(np.add.reduceat(spread, first) ^ key))
+        first = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]])) if len(part) else np.zeros(0, int)
+        if len(first):
+            key = _mix(part[first] + np.uint64(level) * np.uint64(1 << 32))
+            out.append(_mix(np.add.reduceat(spread, first) ^ key))
         if m - len(first) >= m - d:
             empty = np.setdiff1d(np.arange(m, dtype=np.uint64), part[first])
             out.append(_mix(_mix(empty + np.uint64(level) * np.uint64(1 << 32)) + np.uint64(1)))
     return np.unique(np.concatenate(out)).view(np.int64)
 
 
+def common_hashes(sets: DataFrame, share: float = 0.01, most: int = 1_000_000) -> np.ndarray:
+    """Hashes in at least `share` of the sets of some partition, at most `most` of them: those with the longest lists.
+
+    A hash in that share of all sets has it in some partition, so none is missed. Any choice is safe.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts, n = [], 0
+        for batch in batches:
+            column = batch.column(0)
+            off = np.asarray(column.offsets)
+            parts.append(np.array(np.asarray(column.values)[off[0] : off[-1]]))
+            n += batch.num_rows
+        if n:
+            h, c = np.unique(np.concatenate(parts), return_counts=True)
+            keep = c >= max(4, share * n)
+            yield pa.RecordBatch.from_arrays([pa.array(h[keep]), pa.array(c[keep].astype(np.int64))], names=["h", "c"])
+
+    found = sets.select("hashes").mapInArrow(run, "h bigint, c bigint").groupBy("h").agg(F.sum("c").alias("c")).orderBy(F.desc("c"), "h").limit(most)
+    return np.sort(np.array([r["h"] for r in found.collect()], np.int64).view(np.uint64))
+
+
 # ---------------------------------------------------------------- DivideSkip
 def t_occurrence(lists: list[np.ndarray], t: int, skip) -> np.ndarray:
     """Members that occur in at least t of these sorted lists, apart from those that `skip` masks."""
@@ -242,6 +270,8 @@ def _search_groups(rows: DataFrame, keys: list[str], pct: int) -> DataFrame:
         component = np.array([names.setdefault(c, len(names)) for c in (table.column("component")[k].as_py() for k in index)])
         probe = np.array([table.column("probe")[k].as_py() for k in index])
         links = search(sets, pct, component, probe) if len(index) > 1 else []
+        if table.nbytes > 1 << 20:
+            pa.default_memory_pool().release_unused()
         return pa.table({"a": pa.array([cids[index[i]] for i, _ in links], pa.binary()), "b": pa.array([cids[index[j]] for _, j in links], pa.binary())})
 
     return rows.select(*keys, "cid", "hashes", "component", "probe").groupBy(*keys).applyInArrow(run, "a binary, b binary")
@@ -253,11 +283,11 @@ def _candidates(classes: DataFrame, pct: int, scratch: Scratch) -> DataFrame:
     rows = classes.select("rid", F.explode("hashes").alias("h"))
     twice = rows.groupBy("h").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("h")
     hits = rows.join(twice, "h").groupBy("rid").agg(F.count(F.lit(1)).alias("hits"))
-    need = F.least(F.greatest(F.lit(1), F.expr("n div 20")), F.expr(f"({pct} * n + 99) div 100"))
+    need = F.least(F.greatest(F.lit(1), F.expr(f"({100 - pct} * n) div 200")), F.expr(f"({pct} * n + 99) div 100"))
     return scratch.save(classes.select("rid", "cid", "doc_id", "n", need.alias("need")).join(hits, "rid").filter("hits >= need").select("cid", "doc_id", "n"), "candidates")
 
 
-def class_links(docs: DataFrame, k: int, pct: int, scratch: Scratch, chunk_hashes: int = 1_500_000, broadcast_rows: int = 1_000_000) -> tuple[DataFrame, DataFrame]:
+def class_links(docs: DataFrame, k: int, pct: int, scratch: Scratch, chunk_hashes: int = 800_000, broadcast_rows: int = 1_000_000) -> tuple[DataFrame, DataFrame]:
     """(rows (doc_id, cid, n) of all documents, components (a, b) of class digests)."""
     spark = docs.sparkSession
     base = scratch.save(set_rows(docs, k, pct, whole=False), "base")
@@ -278,12 +308,13 @@ def class_links(docs: DataFrame, k: int, pct: int, scratch: Scratch, chunk_hashe
     sets = scratch.save(sets.groupBy("cid").agg(F.first("hashes").alias("hashes")), "sets")
 
     edges_of_bands = bands(pct, top)
+    common = spark.sparkContext.broadcast(common_hashes(sets))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             column = batch.column(1)
             flat, off = np.asarray(column.values), np.asarray(column.offsets)
-            found = [signatures(np.sort(flat[a:b].view(np.uint64)), edges_of_bands, pct) for a, b in zip(off, off[1:], strict=False)]
+            found = [signatures(np.sort(flat[a:b].view(np.uint64)), edges_of_bands, pct, common.value) for a, b in zip(off, off[1:], strict=False)]
             offsets = np.concatenate([[0], np.cumsum([len(s) for s in found])]).astype(np.int32)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(found)))], names=["cid", "s"])
 
@@ -342,7 +373,7 @@ def class_roots(rows: DataFrame, found: DataFrame) -> DataFrame:
     return ids.join(roots, "component").select("cid", "component_id")
 
 
-def components_of(docs: DataFrame, k: int = 3, pct: int = 90, chunk_hashes: int = 1_500_000) -> DataFrame:
+def components_of(docs: DataFrame, k: int = 3, pct: int = 90, chunk_hashes: int = 800_000) -> DataFrame:
     """(doc_id, n_shingles, component_id) of every document."""
     scratch = Scratch(docs.sparkSession)
     rows, found = class_links(docs, k, pct, scratch, chunk_hashes)
