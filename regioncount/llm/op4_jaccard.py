@@ -10,7 +10,7 @@ Lists of the whole corpus fit no task, so documents are first brought together:
 1. Documents become sets of 64-bit shingle hashes; equal sets are one class (a 128-bit digest), and one row of it goes
    on. Copies are never paired.
 2. A first T-occurrence test over all classes, as an equi-join: each class gives its least |x| - T + k hashes; a
-   partner must share k of these, so a class of whose hashes fewer than k occur elsewhere has no partner.
+   partner must share k - 1 of these, so a class of whose hashes fewer than that occur elsewhere has no partner.
 3. The rest is divided by an exact partition scheme: similar sets differ in at most D hashes, so that among more than
    D parts of the hash range one part at least is equal in both. Hashes with very long lists are set aside here too.
    Classes with an equal part belong to one block.
@@ -85,7 +85,8 @@ def self_overlap(n: int, pct: int) -> int:
 
 
 def prefix_rule(n: int, pct: int) -> tuple[int, int]:
-    """(length of the prefix, hits it must have): of |x| - T + k least hashes a partner shares k."""
+    """(length of the prefix, k): of the least |x| - T + k hashes a partner of the same size or more shares k, and a
+    smaller partner k - 1 at least (its own T and k fall with its size; rounding can cost one)."""
     t = self_overlap(n, pct)
     k = min(t, max(1, (100 - pct) * n // 200))
     return n - t + k, k
@@ -283,7 +284,7 @@ def _candidates(classes: DataFrame, pct: int, scratch: Scratch) -> DataFrame:
     rows = classes.select("rid", F.explode("hashes").alias("h"))
     twice = rows.groupBy("h").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("h")
     hits = rows.join(twice, "h").groupBy("rid").agg(F.count(F.lit(1)).alias("hits"))
-    need = F.least(F.greatest(F.lit(1), F.expr(f"({100 - pct} * n) div 200")), F.expr(f"({pct} * n + 99) div 100"))
+    need = F.greatest(F.lit(1), F.least(F.expr(f"({100 - pct} * n) div 200"), F.expr(f"({pct} * n + 99) div 100")) - 1)
     return scratch.save(classes.select("rid", "cid", "doc_id", "n", need.alias("need")).join(hits, "rid").filter("hits >= need").select("cid", "doc_id", "n"), "candidates")
 
 
