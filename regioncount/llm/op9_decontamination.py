@@ -48,23 +48,27 @@ def item_sketches(items: DataFrame, size: int = 5, threshold: float = 0.8) -> Da
     return df.select("item_id", "uid", "part", "n", "need", F.posexplode(F.sort_array("hs")).alias("rank", "h"), "k").withColumn("in_sketch", F.col("rank") < F.col("k")).drop("rank", "k")
 
 
-def contained(docs: DataFrame, items: DataFrame, size: int = 5, threshold: float = 0.8, broadcast_rows: int = 500_000) -> DataFrame:
-    """(doc_id, item_id, n_shingles, n_shared): all pairs with at least the required containment."""
+def contained(docs: DataFrame, items: DataFrame, size: int = 5, threshold: float = 0.8, broadcast_rows: int = 500_000, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, item_id, n_shingles, n_shared): all pairs with at least the required containment; and the columns of
+    docs named in `keep`."""
     sketches = item_sketches(items, size, threshold)
     n_rows, *short = sketches.select(F.count(F.lit(1)), *[F.max((F.col("n") == 1).cast("int"))]).first()
     lengths = [size]
     if short[0]:  # some items may have fewer words than a shingle
         lengths = sorted({r[0] for r in items.select(F.least(F.size(words(lowered(F.col("text")))), F.lit(size)).alias("k")).distinct().collect()} - {0} | {size})
-    w = docs.select("doc_id", words(lowered(F.col("text"))).alias("w"), F.monotonically_increasing_id().alias("row"))
+    w = docs.select("doc_id", *keep, words(lowered(F.col("text"))).alias("w"), F.monotonically_increasing_id().alias("row"))
     hashes = F.concat(*[shingles(F.col("w"), k) for k in lengths]) if len(lengths) > 1 else shingles(F.col("w"), size)
-    seen = w.select("doc_id", "row", F.explode(hashes).alias("h"))
+    seen = w.select("doc_id", *keep, "row", F.explode(hashes).alias("h"))
     hits = seen.join(F.broadcast(sketches) if n_rows <= broadcast_rows else sketches, "h")
-    pairs = hits.groupBy("row", "doc_id", "uid", "item_id", "n", "need").agg(F.count(F.lit(1)).alias("shared"), F.max("in_sketch").alias("candidate"))
+    pairs = hits.groupBy("row", "doc_id", *keep, "uid", "item_id", "n", "need").agg(F.count(F.lit(1)).alias("shared"), F.max("in_sketch").alias("candidate"))
     found = pairs.filter(F.col("candidate") & (F.col("shared") >= F.col("need")))
-    return found.select("doc_id", "item_id", F.col("n").cast("long").alias("n_shingles"), F.col("shared").cast("long").alias("n_shared"))
+    return found.select("doc_id", "item_id", F.col("n").cast("long").alias("n_shingles"), F.col("shared").cast("long").alias("n_shared"), *keep)
 
 
 def decontaminate(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """Documents that contain no test item, with all their columns. Null doc_ids that contain one go together."""
-    bad = contained(docs, items).select(F.col("doc_id").alias("__rc_bad")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("__rc_bad")), "left_anti")
+    """Rows that contain no test item, with all their columns. Each row goes or stays by its own text, whatever other
+    rows share its doc_id or have none."""
+    digest = F.unhex(F.sha2("text", 256))
+    found = contained(docs.select("doc_id", "text", digest.alias("__rc_digest")), items, keep=("__rc_digest",))
+    bad = found.select(F.col("doc_id").alias("__rc_bad"), "__rc_digest").distinct()
+    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("__rc_bad")) & (digest == F.col("__rc_digest")), "left_anti")

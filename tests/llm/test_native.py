@@ -98,3 +98,12 @@ def test_decontamination(spark, messy, no_documents):
     assert kept.columns == docs.columns and kept.count() == docs.count() - 4
     assert dc.contained(docs, items.limit(0)).count() == 0 and dc.contained(no_documents, items).count() == 0
     assert dc.decontaminate(docs, items.limit(0)).count() == docs.count()
+
+
+def test_decontamination_decides_by_row(spark):
+    passage = " ".join(f"w{k}" for k in range(40))
+    rows = [(None, "clean without a number", 1), (None, f"intro {passage}", 2), (None, None, 3), (7, f"{passage} end", 4), (7, "clean under the same number", 5), (8, "clean", 6), (9, f"{passage} end", 7), (9, f"{passage} end", 8), (8, "clean", 9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, n_chars long")
+    kept = dc.decontaminate(docs, spark.createDataFrame([(1, passage)], "item_id long, text string"))
+    assert python_free(kept) and kept.columns == docs.columns
+    assert sorted(r.n_chars for r in kept.collect()) == [1, 3, 5, 6, 9]
