@@ -94,11 +94,13 @@ def with_modes(points: DataFrame, modes: DataFrame) -> DataFrame:
     return points.join(modes, "user_id")
 
 
-def nearest_to_mode(points: DataFrame, modes: DataFrame, k: int) -> DataFrame:
-    """The k points of each user nearest to the mode (all if fewer); ties by ts, point_id and coordinates."""
+def nearest_to_mode(points: DataFrame, modes: DataFrame, k: int | None) -> DataFrame:
+    """The k points of each user nearest to the mode (all if fewer, or if k is None); ties by ts, point_id and
+    coordinates."""
     df = with_modes(points, modes).withColumn("dist", F.hypot(F.col("x") - F.col("mode_x"), F.col("y") - F.col("mode_y")))
     w = Window.partitionBy("user_id").orderBy(F.round("dist", 9), "ts", "point_id", "x", "y")
-    return df.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
+    ranked = df.withColumn("rank", F.row_number().over(w))
+    return ranked if k is None else ranked.filter(F.col("rank") <= k)
 
 
 def trim(points: DataFrame, body: float, rule: str = "disc", area: float | None = None) -> DataFrame:

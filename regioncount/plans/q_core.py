@@ -81,7 +81,7 @@ def _nearest(k):
 
 
 QUERIES["nearest_k"] = (_nearest(40), f"WITH {sql.points('core')}, {_MODES}, {_NEAR} SELECT user_id, point_id, rank::BIGINT AS rank FROM near WHERE rank <= 40")
-QUERIES["nearest_all"] = (_nearest(10**6), f"WITH {sql.points('core')}, {_MODES}, {_NEAR} SELECT user_id, point_id, rank::BIGINT AS rank FROM near")
+QUERIES["nearest_all"] = (_nearest(None), f"WITH {sql.points('core')}, {_MODES}, {_NEAR} SELECT user_id, point_id, rank::BIGINT AS rank FROM near")
 
 
 def _trim(rule):

@@ -129,3 +129,17 @@ def test_voronoi(spark):
     assert partition.count_general(hist, table, list(range(len(SITES)))).first()[0] == len(bodies)
     assert partition.count_general(hist, table, [4]).first()[0] == sum(partition.convex_meet(h, cells[4]) for h in bodies)
     assert release.sensitivity_general(table, 0.8) <= len(parts)
+
+
+def test_nearest_all_has_no_limit(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from regioncount.plans import q_core
+    from regioncount.sources import points
+
+    n = 1_000_003  # of one user
+    one = spark.range(n).select(F.lit(1).cast("long").alias("user_id"), F.col("id").alias("point_id"), F.lit(0).alias("ts"), (F.col("id") % 1000 / 100.0).alias("x"), F.lit(1.0).alias("y"))
+    monkeypatch.setattr(points, "core", lambda spark, d: one)
+    found = q_core.QUERIES["nearest_all"][0](spark, "").agg(F.count(F.lit(1)), F.max("rank")).first()
+    assert tuple(found) == (n, n)
+    assert q_core.QUERIES["nearest_k"][0](spark, "").count() == 40
