@@ -36,7 +36,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from regioncount.llm.common import Recent, Scratch, slices
@@ -385,15 +385,26 @@ def components_of(docs: DataFrame, k: int = 3, pct: int = 90, chunk_hashes: int
 
 
 def keep_one(docs: DataFrame, k: int = 5, pct: int = 80) -> DataFrame:
-    """One document of each component, that with the least doc_id, with all columns; documents without words stay.
+    """One row of each component, with all columns: that with the least doc_id, then with the least digest of its text;
+    one without a doc_id only where no other has one. Rows without words stay.
 
-    doc_id names a document: rows that share one go or stay together, and repeats of one (doc_id, text) become one
-    row. Documents without a doc_id stay.
+    A row is named by its doc_id and the digest of its text, so texts that share a doc_id, or have none, go or stay each
+    by itself. Repeats of one (doc_id, text) become one row; those without words and doc_id stay.
     """
     scratch = Scratch(docs.sparkSession)
-    rows, found = class_links(docs, k, pct, scratch)
-    named = rows.filter("cid is not null and doc_id is not null").join(class_roots(rows, found), "cid")
-    losers = named.filter("doc_id <> component_id").select(F.col("doc_id").alias("__rc_gone")).distinct()
-    kept = docs.join(losers, F.col("doc_id") == F.col("__rc_gone"), "left_anti")
-    repeated = rows.filter("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("c")).filter("c > 1")
-    return kept.dropDuplicates(["doc_id", "text"]) if repeated.limit(1).count() else kept
+    digest = F.unhex(F.sha2("text", 256))
+    name = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id").alias("id"), digest.alias("digest"))
+    rows, found = class_links(docs.select(name.alias("doc_id"), "text"), k, pct, scratch)
+    named = rows.filter("cid is not null").join(class_roots(rows, found), "cid")
+
+    def these(names: DataFrame) -> tuple[DataFrame, Column]:
+        names = names.select(F.col("doc_id.id").alias("__rc_id"), F.col("doc_id.digest").alias("__rc_digest"))
+        return names, F.col("doc_id").eqNullSafe(F.col("__rc_id")) & digest.eqNullSafe(F.col("__rc_digest"))
+
+    losers, same = these(named.filter("doc_id <> component_id").select("doc_id").distinct())
+    kept = docs.join(losers, same, "left_anti")
+    repeated = rows.filter("cid is not null or not doc_id.last").groupBy("doc_id").agg(F.count(F.lit(1)).alias("c")).filter("c > 1")
+    if not repeated.limit(1).count():
+        return kept
+    twice, same = these(repeated)
+    return kept.join(twice, same, "left_anti").union(kept.join(twice, same, "left_semi").dropDuplicates(["doc_id", "text"]))

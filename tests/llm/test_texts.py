@@ -72,6 +72,16 @@ def test_keep_one(spark, messy):
     assert ids == sorted(["1", "3", "4", "5", "6", "7", "8", "9", "10", "11", "None", "None"])
 
 
+def test_keep_one_of_each_group_whatever_the_ids(spark):
+    one, two, three = (" ".join(f"{c}{k}" for k in range(30)) for c in "abc")
+    rows = [(5, one), (7, one), (5, two), (3, two), (None, two), (None, three), (None, three.upper()), (None, three), (None, None), (None, None), (9, ""), (8, "alone"), (8, "alone")]
+    docs = spark.createDataFrame([(i, t, n) for n, (i, t) in enumerate(rows)], "doc_id long, text string, n_chars long")
+    kept = j.keep_one(docs)
+    left = [(r.doc_id, r.text if r.text is None else r.text.lower()) for r in kept.collect()]
+    assert kept.columns == docs.columns
+    assert sorted(left, key=str) == sorted([(5, one), (3, two), (None, three), (None, None), (None, None), (9, ""), (8, "alone")], key=str)
+
+
 def test_t_occurrence_against_counting():
     rng = np.random.default_rng(1)
     for _ in range(200):
