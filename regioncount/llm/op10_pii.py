@@ -6,8 +6,9 @@ dynamic programme over token positions picks boundaries and types together: the
 token outside any segment scores 0. It is trained here by maximum likelihood (forward and backward sums over all
 segmentations, in numpy) on generated sentences with known spans, so that no personal data is needed.
 
-Only stretches around a digit, an at sign or a spelled-out one are decoded: no segment without one can score above 0,
-so the best segmentation of the whole text is the same.
+Only stretches around a digit, an at sign or the word `at` are decoded: no segment without one has features, and a
+stretch holds every segment with its trigger and the tokens before that its features look at, so the best segmentation
+of the whole text is the same.
 
 Defined cases: null text is the empty text; offsets count code points, ends exclusive; repeated rows are searched one
 by one; very long texts take linear time (no pattern backtracks over a run twice); extra columns are ignored by
@@ -20,6 +21,7 @@ import hashlib
 import random
 import re
 from collections.abc import Iterator
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -89,7 +91,12 @@ def _parts(address: str) -> list[str]:
 
 # ---------------------------------------------------------------- tokens and span features
 _TOKEN = re.compile(r"[^\W\d_]+|[0-9]+|[^\s]")
-_TRIGGER = re.compile(r"[0-9@]|[\[(](?:at|dot)[\])]|\bdot\b")
+#: A digit, an at sign or the token `at`; every segment with features has one.
+_TRIGGER = re.compile(r"[\d@]|at(?<![^\W\d_]at)(?![^\W\d_])")
+#: The rest of a word, and the words that a segment with it can reach: not past a line's end. Before it (read from
+#: right to left), also the two tokens that features look at.
+_AHEAD = re.compile(rf"(\S*+)(?:[^\S\n]++\S++){{0,{MAX_TOKENS - 1}}}+")
+_BACK = re.compile(rf"\S*+(?:[^\S\n]++\S++){{0,{MAX_TOKENS - 1}}}+(?:\s++\S++){{0,2}}+")
 #: Words that announce a kind of personal data (fixed list).
 _CUES = {"email": 0, "mail": 0, "contact": 0, "ip": 1, "host": 1, "address": 1, "card": 2, "visa": 2, "payment": 2, "phone": 3, "tel": 3, "call": 3, "mobile": 3, "fax": 3}
 #: What continues an address or a number after its end.
@@ -113,7 +120,7 @@ def span_features(toks: list[tuple[str, int, int]], i: int, j: int, text: str) -
     if "\n" in span:
         return None
     words = [t[0] for t in toks[i:j]]
-    n = sum(map(len, filter(str.isdigit, words)))
+    n = sum(map(len, filter(str.isdecimal, words)))
     has_at = "@" in span
     spelled = not has_at and any(w in ("at",) for w in words[1:-1]) and ("dot" in words or "." in words)
     if not (n >= 4 or has_at or spelled):
@@ -124,8 +131,8 @@ def span_features(toks: list[tuple[str, int, int]], i: int, j: int, text: str) -
     f = ["bias"]
     if not (has_at or spelled):
         f.append("digits<7" if n < 7 else "digits7" if n == 7 else "digits8-9" if n < 10 else "digits10" if n == 10 else "digits11" if n == 11 else "digits12-15" if n < 16 else "digits16-19" if n < 20 else "digits>19")
-        groups = [len(w) for w in words if w.isdigit()]
-        if n >= 16 and n < 20 and luhn("".join(w for w in words if w.isdigit())):
+        groups = [len(w) for w in words if w.isdecimal()]
+        if n >= 16 and n < 20 and luhn("".join(w for w in words if w.isdecimal())):
             f.append("luhn")
         if groups[-3:] == [3, 3, 4] or groups[-2:] == [3, 4] and len(groups) > 1:
             f.append("groups_phone")
@@ -137,7 +144,7 @@ def span_features(toks: list[tuple[str, int, int]], i: int, j: int, text: str) -
             f.append("date")
         if len(groups) == 4 and span.count(".") == 3:
             f.append("four_parts")
-            if all(int(w[:4]) <= 255 for w in words if w.isdigit()) and len(words) == 7:
+            if all(int(w[:4]) <= 255 for w in words if w.isdecimal()) and len(words) == 7:
                 f.append("octets")
         if words[0] == "+":
             f.append("plus")
@@ -183,11 +190,14 @@ def span_features(toks: list[tuple[str, int, int]], i: int, j: int, text: str) -
 
 def segments(toks: list[tuple[str, int, int]], text: str) -> list[tuple[int, int, list[int]]]:
     out = []
+    digits, ats, words, dots = ([0, *accumulate(of(t[0]) for t in toks)] for of in (lambda w: len(w) * w.isdecimal(), "@".__eq__, "at".__eq__, (".", "dot").__contains__))
     for i in range(len(toks)):
         for j in range(i + 1, min(i + MAX_TOKENS, len(toks)) + 1):
-            f = span_features(toks, i, j, text)
-            if f:
-                out.append((i, j, f))
+            # without one of these, span_features is None
+            if digits[j] - digits[i] >= 4 or ats[j] > ats[i] or j > i + 2 and words[j - 1] > words[i + 1] and dots[j] > dots[i]:
+                f = span_features(toks, i, j, text)
+                if f:
+                    out.append((i, j, f))
     return out
 
 
@@ -316,27 +326,26 @@ def decode(text: str, weights: np.ndarray, start: int = 0, end: int | None = Non
     return out[::-1]
 
 
-def stretches(text: str, reach: int = 60) -> Iterator[tuple[int, int]]:
-    """Stretches around triggers, cut at white space."""
-    begin = end = -1
+def stretches(text: str) -> Iterator[tuple[int, int]]:
+    """Disjoint stretches around triggers, cut at white space, that hold all segments with features."""
+    begin = end = word = -1
+    back = ""
     for m in _TRIGGER.finditer(text):
-        a, b = max(0, m.start() - reach), min(len(text), m.end() + reach)
-        if begin >= 0 and a <= end:
-            end = b
+        if m.start() < word:
             continue
-        if begin >= 0:
-            yield _widen(text, begin, end)
-        begin, end = a, b
+        back = back or text[::-1]
+        ahead = _AHEAD.match(text, m.end())
+        floor = max(end - 1, 0)  # with the last word before it, the stretches are one
+        a = len(text) - _BACK.match(back, len(text) - m.start(), len(text) - floor).end() if m.start() > floor else floor
+        if begin < 0 or a > end:
+            if m[0] == "at" and "." not in (near := text[a : ahead.end()]) and "dot" not in near:
+                continue
+            if begin >= 0:
+                yield begin, end
+            begin = a
+        end, word = max(end, ahead.end()), ahead.end(1)
     if begin >= 0:
-        yield _widen(text, begin, end)
-
-
-def _widen(text: str, a: int, b: int) -> tuple[int, int]:
-    while a and not text[a - 1].isspace():
-        a -= 1
-    while b < len(text) and not text[b].isspace():
-        b += 1
-    return a, b
+        yield begin, end
 
 
 def all_spans(text: str, weights: np.ndarray) -> tuple[list[tuple[str, int, int]], list[tuple[str, int, int]]]:

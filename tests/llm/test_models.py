@@ -182,3 +182,18 @@ def test_personal_data_table(spark, messy, no_documents):
     assert by_id[9].text == "mail [EMAIL] or [PHONE]" and by_id[9].n_chars == 23 and by_id[3].text is None
     assert by_id[1].text == "One two three four five six seven."
     assert p.mask("abcdef", [("ip", 1, 4), ("card", 2, 5)]) == "a[IP]f"
+
+
+def test_stretches_decode_as_the_whole_text():
+    field = p.train()
+    names = "write to jane at example.com|call 555-123-4567|mail bob@example.com|see you at noon. Bye|x at y|at|.|dot|jane [at] example [dot] com|jane at example dot com|٣٣٣-٣٣٣-٣٣٣٣|²²²² ²²²²|phone|card|4111 1111 1111 1111|10.0.0.1|_at_|fax:|12|a.b.c|contact john.smith at home|1a2b".split("|")
+    rng = random.Random(11)
+    plain = "we wrote to jane at example.com about the plan"
+    assert p.decode(plain, field) and not re.search(r"[0-9@]|dot", plain)
+    texts = [plain, f"phone {'.' * 70} 555-123-4567", "jane at " + "a-" * 60 + "b.example.com", "at" * 50_000, "1 " * 20_000, "1a" * 2_000, ""]
+    for _ in range(300):
+        words = [rng.choice(names) if rng.random() < 0.3 else rng.choice(["word", "many", "longer-than-others", "x"]) for _ in range(rng.randint(1, 90))]
+        texts.append("".join(w + rng.choice([" ", " ", " ", "  ", "\n", "\t", ", ", ". "]) for w in words))
+    for text in texts:
+        assert [x for a, b in p.stretches(text) for x in p.decode(text, field, a, b)] == p.decode(text, field)
+    assert p.written(p.all_spans(plain, field)[1]) == f"email:{plain.index('jane')}:{plain.index(' about')}"
