@@ -2,10 +2,11 @@
 
 Rules block or allow a host with its subdomains below a path; the longest that fits decides. For other URLs the
 trees decide by length, depth, digit share, entropy, counts of parameters and marks, and suffix statistics (the
-smoothed share of bad URLs among the training URLs below the same last one and two host labels; for a training URL
+smoothed share of bad URLs among all labelled URLs below the same last one and three host labels; for a training URL
 its own label is left out).
 
-The trees are trained here from labelled URLs, at most `rows` (a documented bound). The query labels URLs of the
+The trees are trained here from labelled URLs, at most `rows` (a documented bound); the suffix statistics are counted
+over every labelled URL and joined, by broadcast up to `broadcast_rows` suffixes. The query labels URLs of the
 corpus itself by the words of their hosts' labels: bad if one is in BAD_WORDS. That is the weak supervision of
 published URL filters; a table of labelled URLs takes its place where there is one.
 
@@ -74,6 +75,11 @@ def parts(url: str) -> tuple[str, str, str, str]:
     return m[1].translate(str.maketrans(UPPER, LOWER)), m[2], m[3] or "", m[4] or ""
 
 
+def suffix_columns(name: Column) -> list[Column]:
+    """`suffixes` of a column of hosts."""
+    return [F.substring_index(name, ".", -1), F.substring_index(name, ".", -3)]
+
+
 def suffixes(name: str) -> tuple[str, str]:
     labels = name.split(".")
     return labels[-1], ".".join(labels[-3:])
@@ -106,22 +112,24 @@ class Filter:
             out.append((bad + 5 * self.share) / (n + 5))
         return out
 
-    def scores(self, urls: list[str]) -> np.ndarray:
+    def scores(self, urls: list[str], statistics: list[list[float]] | None = None) -> np.ndarray:
         if self.trees is None or not urls:
             return np.zeros(len(urls))
-        return self.trees.probabilities(np.array([lexical(u) + self.statistics(u) for u in urls]))
+        statistics = [self.statistics(u) for u in urls] if statistics is None else statistics
+        return self.trees.probabilities(np.array([lexical(u) + s for u, s in zip(urls, statistics, strict=True)]))
 
 
-def train(urls: list[str], labels: list[int]) -> Filter:
+def train(urls: list[str], labels: list[int], counts: dict[str, tuple[int, int]] | None = None, share: float | None = None) -> Filter:
+    """`counts` and `share` are those of a larger set of labelled URLs; without them they are taken from these."""
     if len(set(labels)) < 2:
         return Filter(None)
-    found = Filter(None, share=sum(labels) / len(labels))
+    found = Filter(None, share=sum(labels) / len(labels) if share is None else share)
     bad, n = Counter(), Counter()
     for u, y in zip(urls, labels, strict=True):
         for s in suffixes(parts(u)[0]):
             n[s] += 1
             bad[s] += y
-    found.counts = {s: (bad[s], n[s]) for s in n}
+    found.counts = {s: (bad[s], n[s]) for s in n} if counts is None else counts
     x = np.array([lexical(u) + found.statistics(u, y) for u, y in zip(urls, labels, strict=True)])
     found.trees = gbt.fit(x, np.array(labels, float), trees=40, depth=4)
     return found
@@ -133,28 +141,50 @@ def weak_labels(pages: DataFrame) -> DataFrame:
     return pages.select("url", F.arrays_overlap(names, F.array(*[F.lit(w) for w in BAD_WORDS])).cast("int").alias("label")).filter(F.col("url").isNotNull())
 
 
+def suffix_counts(labelled: DataFrame) -> DataFrame:
+    """(suffix, bad, n) over all labelled URLs."""
+    rows = labelled.select("label", F.explode(F.array(*suffix_columns(host(F.col("url"))))).alias("suffix"))
+    return rows.groupBy("suffix").agg(F.sum("label").alias("bad"), F.count(F.lit(1)).alias("n"))
+
+
 def fit(labelled: DataFrame, rows: int = 12_000) -> Filter:
-    """Train on at most `rows` labelled URLs, which a hash of the URL picks."""
+    """Trees of at most `rows` labelled URLs, which a hash of the URL picks; suffix statistics of all labelled URLs,
+    kept for the suffixes of the picked ones."""
     picked = labelled.select("url", "label").orderBy(F.xxhash64("url"), "url", "label").limit(rows).collect()
-    return train([r["url"] for r in picked], [r["label"] for r in picked])
+    names = sorted({(s,) for r in picked for s in suffixes(parts(r["url"])[0])})
+    few = F.broadcast(labelled.sparkSession.createDataFrame(names, "suffix string"))
+    counts = {r["suffix"]: (r["bad"], r["n"]) for r in suffix_counts(labelled).join(few, "suffix", "left_semi").collect()}
+    return train([r["url"] for r in picked], [r["label"] for r in picked], counts, labelled.agg(F.avg("label")).first()[0])
 
 
-def with_scores(df: DataFrame, model: Filter, id_column: str = "page_id") -> DataFrame:
+def with_scores(df: DataFrame, model: Filter, id_column: str = "page_id", counts: DataFrame | None = None, broadcast_rows: int = 500_000) -> DataFrame:
+    """Add `score`; suffix statistics come from `counts` (suffix, bad, n), or else from the model."""
     shared = df.sparkSession.sparkContext.broadcast(model)
     kind = df.schema[id_column].dataType.simpleString()
+    df = df.select(id_column, "url")
+    if counts is not None:
+        small = counts.limit(broadcast_rows + 1).count() <= broadcast_rows
+        for k, suffix in enumerate(suffix_columns(host(F.col("url")))):
+            side = counts.select(F.col("suffix").alias(f"__rc_s{k}"), ((F.col("bad") + F.lit(5 * model.share)) / (F.col("n") + 5)).alias(f"__rc_p{k}"))
+            df = df.withColumn("__rc_s", suffix).join(F.broadcast(side) if small else side, F.col("__rc_s") == F.col(f"__rc_s{k}"), "left").drop("__rc_s", f"__rc_s{k}")
+        df = df.select(id_column, "url", *[F.coalesce(f"__rc_p{k}", F.lit(float(model.share))).alias(f"p{k}") for k in range(2)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            scores = shared.value.scores([x or "" for x in batch.column(1).to_pylist()])
+            found = None if batch.num_columns < 4 else [list(p) for p in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
+            scores = shared.value.scores([x or "" for x in batch.column(1).to_pylist()], found)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(scores, pa.float64())], names=[id_column, "url", "score"])
 
-    return df.select(id_column, "url").mapInArrow(run, f"{id_column} {kind}, url string, score double")
+    return df.mapInArrow(run, f"{id_column} {kind}, url string, score double")
 
 
 def judge(pages: DataFrame, model: Filter | None = None, rules=RULES) -> DataFrame:
     """(page_id, host, path, rule, verdict, score) of every URL."""
-    model = model or fit(weak_labels(pages))
-    df = with_scores(pages, model)
+    counts = None
+    if model is None:
+        labelled = weak_labels(pages)
+        model, counts = fit(labelled), suffix_counts(labelled)
+    df = with_scores(pages, model, counts=counts)
     df = judge_by_rules(df.withColumn("host", host(F.col("url"))).withColumn("path", path(F.col("url"))), rules)
     verdict = F.coalesce("rule_verdict", F.when(F.col("score") >= 0.5, F.lit("block")).otherwise(F.lit("allow")))
     return df.select("page_id", "host", "path", "rule", verdict.alias("verdict"), F.round("score", 6).alias("score"))

@@ -197,3 +197,16 @@ def test_stretches_decode_as_the_whole_text():
     for text in texts:
         assert [x for a, b in p.stretches(text) for x in p.decode(text, field, a, b)] == p.decode(text, field)
     assert p.written(p.all_spans(plain, field)[1]) == f"email:{plain.index('jane')}:{plain.index(' about')}"
+
+
+def test_suffix_statistics_are_of_all_labelled_urls(spark, sf_dir):
+    urls = [f"https://{'casino' if k % 3 else 'plain'}{k}.{'shop' if k % 2 else 'org'}/p{k}" for k in range(120)]
+    pages = spark.createDataFrame([(k, x) for k, x in enumerate(urls)] + [(200, None), (201, "no scheme")], "page_id long, url string")
+    labelled = u.weak_labels(pages)
+    m, every = u.fit(labelled, rows=20), u.fit(labelled)
+    assert m.trees is not None and m.share == every.share
+    assert m.counts["org"] == every.counts["org"] == (40, 60) and m.counts["shop"] == every.counts["shop"] == (40, 60)
+    for broadcast_rows in (500_000, 0):
+        scored = u.with_scores(pages, m, counts=u.suffix_counts(labelled), broadcast_rows=broadcast_rows).collect()
+        want = dict(zip(urls, u.Filter(m.trees, every.counts, m.share).scores(urls), strict=True))
+        assert len(scored) == 122 and all(np.isclose(r.score, want[r.url]) for r in scored if r.url in want)
