@@ -1 +1,10 @@
-"""Private counting of planar regions, and training-data operators, on PySpark."""
+"""Private range counting over planar regions, on Spark.
+
+Functions that run in Python workers are pickled by value, so executors need no copy of the package.
+"""
+
+import sys
+
+from pyspark import cloudpickle
+
+cloudpickle.register_pickle_by_value(sys.modules[__name__])
