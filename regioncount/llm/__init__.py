@@ -1,9 +1 @@
-"""Training-data operators. Nothing outside this subpackage imports it.
-
-Functions that run in Python workers are pickled by value, so executors need no copy of the package.
-"""
-
-import regioncount
-from pyspark import cloudpickle
-
-cloudpickle.register_pickle_by_value(regioncount)
+"""Training-data operators. Nothing outside this subpackage imports it."""
