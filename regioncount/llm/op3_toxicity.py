@@ -11,7 +11,7 @@ rows whose crc32(doc_id as text) mod 5 is not 0, whole texts each. A part of the
 misspellings. The threshold is then set on training texts kept from the fit, so that 0.5 separates whole texts.
 
 Once trained, a word adds a plain number to a window (its mean n-gram vector times the softmax row), so texts are
-scored by one cached look-up a word. Defined cases: null and empty texts have no window and score near 0; repeated
+scored by one cached look-up a word, windows of many texts at once. Defined cases: null and empty texts have no window and score near 0; repeated
 rows score alike; very long words have as many n-grams as letters; extra columns are ignored by `score_documents` and
 kept by `keep_clean`; with no label of both classes every score is 0.
 """
@@ -19,35 +19,65 @@ kept by `keep_clean`; with no label of both classes every score is 0.
 from __future__ import annotations
 
 import random
-import zlib
 from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from regioncount.llm.common import Recent
-
-BUCKETS = 1 << 17
+BITS = 17
+BUCKETS = 1 << BITS
+_ODD = np.uint64(0x9E3779B97F4A7C15)
 #: Words of a window: when scoring and in later passes, and in the first pass.
 WINDOW, FIRST_WINDOW = 12, 24
 DIM = 8
 #: Clean training texts for each toxic one.
 CLEAN_SHARE = 2
-#: Words that a task remembers.
-CACHE_ENTRIES = 100_000
+#: Words that a task remembers, and characters of the texts that it scores together.
+CACHE_ENTRIES, TOGETHER = 200_000, 400_000
 _STRIP = "".join(map(chr, [*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)]))
 
 
-def grams(word: str) -> list[int]:
-    """Bucket numbers of a word's n-grams and of the word itself."""
-    w = f"<{word}>".encode()
-    out = {zlib.crc32(w[i : i + n]) & (BUCKETS - 1) for n in (3, 4, 5) for i in range(len(w) - n + 1)}
-    out.add(zlib.crc32(b"=" + w) & (BUCKETS - 1))
-    return sorted(out)
+def grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(bucket numbers, owners): of every n-gram of each word and of the word itself, for all words at once.
+
+    A gram is its bytes packed into one number; the owner of a bucket number is the word's place in the list.
+    """
+    raw = [f"<{w}>".encode() for w in words]
+    size = np.fromiter(map(len, raw), np.int64, len(raw))
+    x = np.frombuffer(b"".join(raw), np.uint8).astype(np.uint64)
+    start = np.cumsum(size) - size
+    owner = np.repeat(np.arange(len(raw)), size)
+    at = np.arange(len(x)) - start[owner]
+    left = size[owner] - at
+    buckets, owners, code = [], [], x.copy()
+    for n in (2, 3, 4, 5):
+        code = code[:-1] | x[n - 1 :] << np.uint64(8 * (n - 1))
+        if n > 2:
+            whole = left[: len(code)] >= n
+            buckets.append(_bucket(code[whole] + np.uint64(n << 40)))
+            owners.append(owner[: len(code)][whole])
+    if len(raw):
+        power = np.cumprod(np.full(int(size.max()), _ODD), dtype=np.uint64)
+        buckets.append(_bucket(np.add.reduceat((x + np.uint64(1)) * power[at], start)))
+        owners.append(np.arange(len(raw)))
+    return np.concatenate(buckets), np.concatenate(owners)
+
+
+def _bucket(code: np.ndarray) -> np.ndarray:
+    return ((code * _ODD) >> np.uint64(64 - BITS)).astype(np.int64)
+
+
+def word_values(weight: np.ndarray, words: list[str]) -> np.ndarray:
+    """Mean weight of each word's buckets."""
+    if not words:
+        return np.zeros(0)
+    bucket, owner = grams(words)
+    return np.bincount(owner, weight[bucket], len(words)) / np.bincount(owner, minlength=len(words))
 
 
 def text_words(text: str) -> list[str]:
@@ -88,28 +118,66 @@ class Model:
     #: Logit of a whole text at which the score is 0.5.
     threshold: float
 
-    def word(self, chunk: str) -> float:
-        return float(self.weight[grams(core(chunk))].mean())
+    def scorer(self) -> "Scorer":
+        return Scorer(self)
 
-    def seen(self) -> Recent:
-        return Recent(self.word, CACHE_ENTRIES)
 
-    def logit(self, text: str, seen: Recent) -> float:
-        words = text_words(text)
-        if not words:
-            return self.bias - 10.0
-        get, miss, best = seen.get, seen.miss, -np.inf
-        starts = window_starts(len(words), WINDOW)
-        for a, b in zip(starts, [*starts[1:], len(words)], strict=True):
-            bag, total = dict.fromkeys(words[a:b]), 0.0
-            for w in bag:
-                v = get(w)
-                total += miss(w) if v is None else v
-            best = max(best, total / max(len(bag), WINDOW))
-        return best + self.bias
+class _Numbers(dict):
+    """Numbers words in the order in which they are first asked for; `fresh` holds those without a value yet."""
 
-    def score(self, text: str, seen: Recent) -> float:
-        return float(1 / (1 + np.exp(-np.clip(self.logit(text, seen) - self.threshold, -30, 30))))
+    def __init__(self):
+        self.fresh: list[str] = []
+
+    def __missing__(self, word: str) -> int:
+        k = self[word] = len(self)
+        self.fresh.append(word)
+        return k
+
+
+class Scorer:
+    """Scores texts with a bounded memory of words' values. All windows of many texts are one matrix of word numbers."""
+
+    #: A last window of under half a window joins the one before.
+    WIDTH = WINDOW + WINDOW // 2 - 1
+
+    def __init__(self, model: Model):
+        self.model = model
+        self.forget()
+
+    def forget(self) -> None:
+        self.numbers, self.values = _Numbers(), np.zeros(1)
+
+    def logits(self, texts: list[str]) -> np.ndarray:
+        if len(self.numbers) > CACHE_ENTRIES:
+            self.forget()
+        lists = [text_words(t) for t in texts]
+        n = np.fromiter(map(len, lists), np.int64, len(lists))
+        total = int(n.sum())
+        out = np.full(len(lists), self.model.bias - 10.0)
+        if not total:
+            return out
+        ids = np.fromiter(map(self.numbers.__getitem__, chain.from_iterable(lists)), np.int32, total)
+        del lists
+        if self.numbers.fresh:
+            # the last place holds the value of no word
+            self.values = np.concatenate([self.values[:-1], word_values(self.model.weight, [core(w) for w in self.numbers.fresh]), [0.0]])
+            self.numbers.fresh.clear()
+        some = n > 0
+        n = n[some]
+        windows = np.maximum(1, n // WINDOW + (n % WINDOW >= WINDOW // 2))
+        first = np.cumsum(windows) - windows
+        at = np.arange(total) - np.repeat(np.cumsum(n) - n, n)
+        window = np.minimum(at // WINDOW, np.repeat(windows - 1, n))
+        grid = np.full((int(windows.sum()), self.WIDTH), -1, np.int32)
+        grid[window + np.repeat(first, n), at - WINDOW * window] = ids
+        grid.sort(axis=1)
+        grid[:, 1:][grid[:, 1:] == grid[:, :-1]] = -1  # a repeated word counts once
+        value = self.values[grid].sum(axis=1) / np.maximum((grid >= 0).sum(axis=1), WINDOW)
+        out[some] = np.maximum.reduceat(value, first) + self.model.bias
+        return out
+
+    def scores(self, texts: list[str]) -> np.ndarray:
+        return 1 / (1 + np.exp(-np.clip(self.logits(texts) - self.model.threshold, -30, 30)))
 
 
 class Windows:
@@ -132,15 +200,22 @@ class Windows:
                 self.add([misspell(w, rng) if rng.random() < 0.5 else w for w in words[a:b]], label)
 
 
+def _distinct(x: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """(distinct values, place of each x among them) of numbers under `most`."""
+    place = np.zeros(most, np.int64)
+    place[x] = 1
+    found = np.flatnonzero(place)
+    place[found] = np.arange(len(found))
+    return found, place.take(x)
+
+
 def fit(windows: Windows, updates: int, rate: float = 0.15, seed: int = 1, batch: int = 512) -> tuple[np.ndarray, float]:
     """Vectors and softmax trained together by adaptive gradient steps: (logit share of each bucket, bias)."""
     ids, y = np.array(windows.ids), np.array(windows.label).astype(int)
     first = np.append(np.array(windows.first), len(ids))
-    buckets, sizes = array("i"), array("q", [0])
-    for word in windows.vocab:
-        buckets.extend(found := grams(word))
-        sizes.append(len(found))
-    ptr, flat = np.cumsum(np.array(sizes)), np.array(buckets)
+    flat, owner = grams(list(windows.vocab))
+    flat = flat[np.argsort(owner, kind="stable")]
+    ptr = np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=len(windows.vocab)))])
     weight_of = np.where(y == 1, len(y) / 2 / max(1, (y == 1).sum()), len(y) / 2 / max(1, (y == 0).sum()))
     gen = np.random.default_rng(seed)
     e, w = gen.normal(0, 0.1, (BUCKETS, DIM)).astype(np.float32), gen.normal(0, 0.1, (2, DIM)).astype(np.float32)
@@ -150,25 +225,25 @@ def fit(windows: Windows, updates: int, rate: float = 0.15, seed: int = 1, batch
         chosen = gen.integers(0, len(y), min(batch, 4 * len(y)))
         lens = first[chosen + 1] - first[chosen]
         edge = np.concatenate([[0], np.cumsum(lens)[:-1]])
-        toks, inv = np.unique(ids[np.repeat(first[chosen] - edge, lens) + np.arange(lens.sum())], return_inverse=True)
+        toks, inv = _distinct(ids[np.repeat(first[chosen] - edge, lens) + np.arange(lens.sum())], len(ptr))
         size = ptr[toks + 1] - ptr[toks]
         starts = np.concatenate([[0], np.cumsum(size)[:-1]])
         g = flat[np.repeat(ptr[toks] - starts, size) + np.arange(size.sum())]
-        vec = np.add.reduceat(e[g], starts, axis=0) / size[:, None]
+        vec = np.add.reduceat(e.take(g, axis=0), starts, axis=0) / size[:, None]
         padded = np.maximum(lens, WINDOW)  # a short text is padded with words of no weight
-        mean = np.add.reduceat(vec[inv], edge, axis=0) / padded[:, None]
+        mean = np.add.reduceat(vec.take(inv, axis=0), edge, axis=0) / padded[:, None]
         z = mean @ w.T + b
         z -= z.max(axis=1, keepdims=True)
         p = np.exp(z)
         p /= p.sum(axis=1, keepdims=True)
         p[np.arange(len(chosen)), y[chosen]] -= 1
         d = (p * weight_of[chosen][:, None] / len(chosen)).astype(np.float32)
-        back = ((d @ w) / padded[:, None])[np.repeat(np.arange(len(chosen)), lens)]
+        back = ((d @ w) / padded[:, None]).take(np.repeat(np.arange(len(chosen)), lens), axis=0)
         grad_w, grad_b = d.T @ mean + 1e-4 * w, d.sum(axis=0)
-        grad_word = np.stack([np.bincount(inv, back[:, k], len(toks)) for k in range(DIM)], axis=1) / size[:, None]
-        touched, where = np.unique(g, return_inverse=True)
+        grad_word = np.stack([np.bincount(inv, back[:, k], len(toks)) for k in range(DIM)]) / size
+        touched, where = _distinct(g, BUCKETS)
         spread = np.repeat(np.arange(len(toks)), size)
-        grad_e = np.stack([np.bincount(where, grad_word[spread, k], len(touched)) for k in range(DIM)], axis=1).astype(np.float32)
+        grad_e = np.stack([np.bincount(where, x.take(spread), len(touched)) for x in grad_word], axis=1).astype(np.float32)
         sq_e[touched] += (grad_e**2).mean(axis=1)
         e[touched] -= rate * grad_e / np.sqrt(sq_e[touched])[:, None]
         sq_w, sq_b = sq_w + float((grad_w**2).mean()), sq_b + float((grad_b**2).mean())
@@ -200,7 +275,7 @@ def train(texts: list[str], labels: list[int], updates: int = 250, seed: int = 1
     words_seen = list(long.vocab)
     del long
     for turn in (1, 2):
-        value = {w: float(weight[grams(w)].mean()) for w in words_seen}
+        value = dict(zip(words_seen, word_values(weight, words_seen).tolist(), strict=True))
         short = Windows()
         for ws, (_, y) in zip(words, kept, strict=True):
             bounds = [*window_starts(len(ws), WINDOW), len(ws)]
@@ -211,8 +286,7 @@ def train(texts: list[str], labels: list[int], updates: int = 250, seed: int = 1
                 short.add_text(part, y, WINDOW, rng)
         weight, bias = fit(short, updates, seed=seed + turn)
     model = Model(weight, bias, 0.0)
-    seen = model.seen()
-    model.threshold = best_threshold(np.array([model.logit(t, seen) for t, _ in apart]), np.array([y for _, y in apart]))
+    model.threshold = best_threshold(model.scorer().logits([t for t, _ in apart]), np.array([y for _, y in apart]))
     return model
 
 
@@ -237,15 +311,25 @@ def held_out(doc_id: Column) -> Column:
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -> tuple[list[str], list[int]]:
     """At most per_class whole toxic texts and CLEAN_SHARE times as many clean ones, never of held-out rows; which ones,
-    a hash of doc_id decides."""
+    a hash of doc_id decides.
+
+    The classes are counted first; a threshold of the hash then lets about the wanted number through, so that no task
+    gets more than a sample. A doc_id with labels of both classes is toxic; of several texts of one doc_id the least
+    one is taken.
+    """
     usable = labels.select(F.col("doc_id").alias("__rc_id"), F.col("toxic").cast("int").alias("__rc_toxic")).filter(F.col("__rc_id").isNotNull() & F.col("__rc_toxic").isin(0, 1) & ~held_out(F.col("__rc_id")))
+    usable = usable.groupBy("__rc_id").agg(F.max("__rc_toxic").alias("__rc_toxic"))
+    counts = {r[0]: r[1] for r in usable.groupBy("__rc_toxic").count().collect()}
+    place = F.pmod(F.xxhash64("__rc_id"), F.lit(1 << 40))
     chosen = None
     for c in (0, 1):
-        part = usable.filter(F.col("__rc_toxic") == c).orderBy(F.xxhash64("__rc_id"), "__rc_id").limit(per_class if c else CLEAN_SHARE * per_class)
+        want = per_class if c else CLEAN_SHARE * per_class
+        share = min(1.0, (want + 5 * want**0.5) / max(1, counts.get(c, 0)))
+        part = usable.filter((F.col("__rc_toxic") == c) & (place < int(share * (1 << 40)))).orderBy(place, "__rc_id").limit(want)
         chosen = part if chosen is None else chosen.union(part)
     rows = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("__rc_id")).filter(F.col("text").isNotNull())
-    found = sorted((r["doc_id"], r["text"], r["__rc_toxic"]) for r in rows.select("doc_id", "text", "__rc_toxic").limit(4 * (1 + CLEAN_SHARE) * per_class).collect())
-    return [t for _, t, _ in found], [y for _, _, y in found]
+    found = sorted(tuple(r) for r in rows.groupBy("__rc_id", "__rc_toxic").agg(F.min("text")).collect())
+    return [t for _, _, t in found], [y for _, y, _ in found]
 
 
 def scorer(docs: DataFrame, model: Model):
@@ -254,10 +338,16 @@ def scorer(docs: DataFrame, model: Model):
 
     @F.arrow_udf("double")
     def score(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        found = shared.value
-        seen = found.seen()
+        scorer = shared.value.scorer()
         for texts in arrays:
-            yield pa.array([found.score(x.as_py() or "", seen) for x in texts], pa.float64())
+            out, held, size = [], [], 0
+            for x in texts:
+                held.append(x.as_py() or "")
+                size += len(held[-1])
+                if size >= TOGETHER:
+                    out.append(scorer.scores(held))
+                    held, size = [], 0
+            yield pa.array(np.concatenate([*out, scorer.scores(held)]), pa.float64())
 
     return score
 

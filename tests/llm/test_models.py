@@ -1,5 +1,6 @@
 """URL filter, toxicity, main text and personal data: held-out accuracy and edge cases."""
 
+import math
 import random
 import re
 import zlib
@@ -72,15 +73,53 @@ def corpus(n, seed):
     return texts, labels
 
 
+def naive_buckets(word):
+    """The n-grams of one word by plain integers."""
+    w, low, odd = b"<" + word.encode() + b">", 2**64 - 1, 0x9E3779B97F4A7C15
+    codes = [int.from_bytes(w[i : i + n], "little") + (n << 40) for n in (3, 4, 5) for i in range(len(w) - n + 1)]
+    codes.append(sum((c + 1) * pow(odd, k + 1, 2**64) for k, c in enumerate(w)) & low)
+    return [((c * odd) & low) >> (64 - t.BITS) for c in codes]
+
+
+def naive_score(m, text):
+    """The score by loops over windows and words."""
+    words = text.lower().split()
+    if not words:
+        logit = m.bias - 10
+    else:
+        starts = list(range(0, len(words), 12))
+        if len(starts) > 1 and len(words) - starts[-1] < 6:
+            starts.pop()
+        each = []
+        for a, b in zip(starts, [*starts[1:], len(words)], strict=True):
+            value = [float(np.mean([m.weight[g] for g in naive_buckets(t.core(w))])) for w in set(words[a:b])]
+            each.append(sum(value) / max(12, len(value)))
+        logit = max(each) + m.bias
+    return 1 / (1 + math.exp(-min(30, max(-30, logit - m.threshold))))
+
+
 def test_toxicity_learns_and_shares_misspellings():
     texts, labels = corpus(900, 3)
     m = t.train(texts[:700], labels[:700], updates=150)
-    seen = m.seen()
-    guess = [m.score(x, seen) >= 0.5 for x in texts[700:]]
+    guess = m.scorer().scores(texts[700:]) >= 0.5
     assert np.mean([g == bool(y) for g, y in zip(guess, labels[700:], strict=True)]) > 0.95
-    assert m.word("idiiot") > 5 * abs(m.word("bakelmo")) and m.word("mooron") > 0
-    assert m.score("", seen) < 0.01
-    assert t.train(["a b", "c d"], [0, 0]).score("idiot", m.seen()) < 0.5
+    a, b, c = t.word_values(m.weight, ["idiiot", "bakelmo", "mooron"])
+    assert a > 5 * abs(b) and c > 0
+    assert m.scorer().scores([""])[0] < 0.01
+    assert t.train(["a b", "c d"], [0, 0]).scorer().scores(["idiot"])[0] < 0.5
+
+
+def test_toxicity_scores_against_a_naive_scorer(monkeypatch):
+    rng = np.random.default_rng(5)
+    m = t.Model(rng.normal(size=t.BUCKETS), 0.3, 0.1)
+    draw = random.Random(6)
+    words = ["idiot", "Ünïcode", "(a)", "<b>", "--", "漢字", "x" * 300, "the", "the,", "\x00", "e\u0301"] + ["".join(draw.choice("abcdeé") for _ in range(draw.randint(1, 12))) for _ in range(80)]
+    texts = ["", " \n", "one"] + [" ".join(draw.choice(words) for _ in range(n)) for n in [*range(1, 60), 500, 3000]]
+    monkeypatch.setattr(t, "CACHE_ENTRIES", 30)
+    scorer = m.scorer()
+    for _ in range(2):
+        got = np.concatenate([scorer.scores(texts[:20]), scorer.scores(texts[20:])])
+        assert np.allclose(got, [naive_score(m, x) for x in texts], atol=1e-9)
 
 
 def test_toxicity_table(spark, messy, no_documents):
