@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import ctypes
+import hashlib
 import sys
 import types
 import uuid
 from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -93,6 +96,28 @@ def slices(batches: Iterator, rows: int = 256) -> Iterator:
             yield batch.slice(at, rows)
 
 
+class Hashes(dict):
+    """64-bit hashes of words (bytes), computed when first asked for; `trim` between batches bounds its size."""
+
+    def __missing__(self, word: bytes) -> int:
+        h = int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little")
+        self[word] = h
+        return h
+
+    def trim(self, most: int) -> None:
+        if len(self) > most:
+            self.clear()
+
+
+def give_back() -> None:
+    """Return freed memory to the system at the end of a task: the worker lives on, idle or for other tasks."""
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+
+
 def once_per_process(key: str, make):
     """What `make` gives, kept in this process under `key`; only the last key is kept.
 

@@ -1,8 +1,8 @@
 """Connected components of an edge table, distributed: alternating large-star and small-star steps.
 
 Each step points nodes at smaller neighbours; when no edge changes every node points at the least node of its
-component. Steps are joins and map-side combined minima, so a node with very many edges is split by the skew handling
-of the join and never gathered in one task. Every round is written to the shared folder.
+component. A step is a combined minimum, written to the shared folder, and a join with it. As both sides of the join
+are plain tables, a node with very many edges is split by the skew handling and is never gathered in one task.
 """
 
 from __future__ import annotations
@@ -13,29 +13,39 @@ from pyspark.sql import functions as F
 from regioncount.llm.common import Scratch
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _star(rows: DataFrame, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """(rows with the least b of each a as m, the written minima)."""
+    least = scratch.save(rows.groupBy("a").agg(F.min("b").alias("m")), "least")
+    return rows.join(least, "a"), least
+
+
+def _large_star(edges: DataFrame, scratch: Scratch) -> DataFrame:
+    """Larger neighbours of every node go to the least of it and its neighbours."""
     both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-    return both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a > b").distinct()
+    joined, least = _star(both, scratch)
+    out = joined.filter("b > a").select(F.col("b").alias("a"), F.least("a", "m").alias("b")).filter("a > b").distinct()
+    out = scratch.save(out, "large")
+    scratch.drop(least, edges)
+    return out
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
-    """Edges point from a to a smaller b."""
-    least = edges.groupBy("a").agg(F.min("b").alias("m"))
-    joined = edges.join(least, "a")
+def _small_star(edges: DataFrame, scratch: Scratch) -> DataFrame:
+    """Edges point from a to a smaller b: a and its neighbours go to the least of them."""
+    joined, least = _star(edges, scratch)
     out = joined.select(F.col("b").alias("a"), F.col("m").alias("b")).union(joined.select("a", F.col("m").alias("b")))
-    return out.filter("a > b").distinct()
+    out = scratch.save(out.filter("a > b").distinct(), "small")
+    scratch.drop(least, edges)
+    return out
 
 
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
     """(a, b): every node a of an edge that is not the least of its component, and that least node b."""
-    now = scratch.save(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a > b").distinct(), "cc")
+    now = scratch.save(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a > b").distinct(), "edges")
     print_of = lambda df: tuple(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
     before = print_of(now)
     while before[0]:
-        after = scratch.save(_small_star(_large_star(now)), "cc")
-        scratch.drop(now)
-        now, state = after, print_of(after)
+        now = _small_star(_large_star(now, scratch), scratch)
+        state = print_of(now)
         if state == before:
             break
         before = state

@@ -4,6 +4,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from regioncount.llm import op4_jaccard as j
 from regioncount.llm import op5_bpe as b
@@ -82,13 +83,66 @@ def test_keep_one_of_each_group_whatever_the_ids(spark):
     assert sorted(left, key=str) == sorted([(5, one), (3, two), (None, three), (None, None), (None, None), (9, ""), (8, "alone")], key=str)
 
 
-def test_t_occurrence_against_counting():
+def test_heap_merge_with_skips_against_counting():
     rng = np.random.default_rng(1)
-    for _ in range(200):
+    for _ in range(300):
         lists = [np.unique(rng.integers(0, 60, rng.integers(1, 40))) for _ in range(rng.integers(1, 20))]
         t = int(rng.integers(1, len(lists) + 1))
         found, count = np.unique(np.concatenate(lists), return_counts=True)
-        assert j.t_occurrence(lists, t, lambda x: np.zeros(len(x), bool)).tolist() == found[count >= t].tolist()
+        assert j.merge_skip([x.tolist() for x in lists], t) == [(x, c) for x, c in zip(found.tolist(), count.tolist(), strict=True) if c >= t]
+
+
+def test_probes_of_long_lists():
+    rng = np.random.default_rng(8)
+    lists = [np.unique(rng.integers(0, 80, rng.integers(1, 60))) for _ in range(30)]
+    ends = np.cumsum([len(x) for x in lists])
+    posting, low, sizes = np.concatenate(lists), np.concatenate([[0], ends[:-1]]), rng.integers(10, 40, 80)
+    for _ in range(50):
+        found = [(m, int(rng.integers(0, 9))) for m in sorted(rng.choice(80, int(rng.integers(0, 30)), replace=False).tolist())]
+        want = [m for m, c in found if 190 * (c + sum(m in x for x in lists)) >= 90 * (30 + sizes[m])]
+        assert j.overlapping(posting, low, ends, found, sizes, 30, 90) == want
+
+
+def test_search_merges_few_postings_and_misses_no_link():
+    """A block of near copies of a few texts that share a passage: all found documents come from the heap, and the long
+    lists, which hold most postings, are never merged."""
+    rng = np.random.default_rng(3)
+    shared = rng.integers(0, 2**60, 200)
+    sets = []
+    for _ in range(4):
+        base = np.concatenate([shared, rng.integers(0, 2**60, 150)])
+        for _ in range(40):
+            x = base.copy()
+            x[rng.integers(0, len(x), int(rng.integers(0, 25)))] = rng.integers(0, 2**60)
+            sets.append(np.unique(x))
+    n = len(sets)
+    links, work = j.search(sets, 90, np.arange(n), np.ones(n, bool))
+    want, got = np.arange(n), np.arange(n)
+    for i in range(n):
+        for k in range(i):
+            both = len(np.intersect1d(sets[i], sets[k]))
+            if 100 * both >= 90 * (len(sets[i]) + len(sets[k]) - both):
+                want[want == want[i]] = want[k]
+    for i, k in links:
+        got[got == got[i]] = got[k]
+    assert len(links) == n - len(set(want.tolist())) > 0
+    assert len({(a, b) for a, b in zip(want.tolist(), got.tolist(), strict=True)}) == len(set(want.tolist())) == len(set(got.tolist()))
+    assert work["found"] >= len(links) and 0 < 5 * work["merged"] < work["set_aside"] and work["by_heap"] > 10 * work["by_runs"]
+    heap, j.HEAP_POSTINGS = j.HEAP_POSTINGS, 0
+    try:
+        again, work = j.search(sets, 90, np.arange(n), np.ones(n, bool))
+    finally:
+        j.HEAP_POSTINGS = heap
+    assert again == links and work["by_heap"] == 0
+
+
+def test_first_test_keeps_every_linked_class(spark):
+    """With every frequent hash spread over tasks (a low bound) or none, the same classes pass."""
+    rows = near_copies(12)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    base = j.set_rows(df, 3, 90, whole=False).withColumn("rid", F.monotonically_increasing_id()).cache()
+    some = {r.rid for r in j._candidates(base, 90, heavy_hits=2).collect()}
+    assert some == {r.rid for r in j._candidates(base, 90, heavy_hits=10**9).collect()} and 0 < len(some) < base.select("cid").distinct().count()
 
 
 def test_partition_scheme_meets_every_link():
