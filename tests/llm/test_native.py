@@ -1,5 +1,6 @@
 """Sharding, quality rules and decontamination."""
 
+import random
 import zlib
 
 from pyspark.sql import functions as F
@@ -100,6 +101,29 @@ def test_decontamination(spark, messy, no_documents):
     assert dc.decontaminate(docs, items.limit(0)).count() == docs.count()
 
 
+def test_sketches_prune_before_verification(spark):
+    """Only texts with enough sketch values are candidates; the sketch alone does not decide; nothing is missed."""
+    w = [f"w{k}" for k in range(104)]  # 100 shingles: 20 may be missing, 41 sketch values, 21 hits
+    rng = random.Random(5)
+    texts = {0: " ".join(w), 1: " ".join(w[:30]), 2: "no word of it", 3: " ".join(w[:24])}
+    for k in range(4, 60):
+        cut = rng.randint(60, 104)
+        at = rng.randint(0, 104 - cut)
+        texts[k] = " ".join(["x", *w[at : at + cut], "y"])
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    items = spark.createDataFrame([(1, texts[0]), (2, "other words that nobody uses at all here")], "item_id long, text string")
+    sets = dc.item_sets(items)
+    sketches = dc.item_sketches(sets)
+    assert sets.count() == 2 and {(r.n, r.c, r.hits) for r in sketches.groupBy("uid", "hits").agg(F.count("*").alias("c")).join(sets, "uid").collect()} == {(100, 41, 21), (4, 1, 1)}
+    named = docs.select("doc_id", F.xxhash64("text").alias("key"))
+    cand = {r.doc_id for r in dc.candidates(docs, sketches, [5], True).join(named, "key").collect()}
+    found = {r.doc_id: r.n_shared for r in dc.contained(docs, items).collect()}
+    sure = {k: max(0, sum(f" {' '.join(w[i : i + 5])} " in f" {t} " for i in range(100))) for k, t in texts.items()}
+    assert found == {k: c for k, c in sure.items() if c >= 80}
+    touching = {k for k, c in sure.items() if c}
+    assert set(found) < cand < touching and not cand & {2, 3}
+
+
 def test_decontamination_decides_by_row(spark):
     passage = " ".join(f"w{k}" for k in range(40))
     rows = [(None, "clean without a number", 1), (None, f"intro {passage}", 2), (None, None, 3), (7, f"{passage} end", 4), (7, "clean under the same number", 5), (8, "clean", 6), (9, f"{passage} end", 7), (9, f"{passage} end", 8), (8, "clean", 9)]
