@@ -57,16 +57,15 @@ def item_sketches(sets: DataFrame) -> DataFrame:
     return df.select("uid", "part", (F.col("k") - (F.col("n") - F.col("need"))).alias("hits"), F.explode(F.slice("hs", F.lit(1), F.col("k"))).alias("h"))
 
 
-def with_shingles(df: DataFrame, lengths: list[int], into: str) -> DataFrame:
-    """Replace `text` by its distinct shingles of these lengths. The words are a column of their own, split once."""
-    df = df.withColumn("__rc_w", words(lowered(F.col("text")))).drop("text")
-    return df.withColumn(into, F.concat(*[shingles(F.col("__rc_w"), k) for k in lengths]) if len(lengths) > 1 else shingles(F.col("__rc_w"), lengths[0])).drop("__rc_w")
+def all_shingles(w: Column, lengths: list[int]) -> Column:
+    """Distinct shingles of these lengths. `w` must be a column that an earlier select made, so that it is split once."""
+    return F.concat(*[shingles(w, k) for k in lengths]) if len(lengths) > 1 else shingles(w, lengths[0])
 
 
 def candidates(docs: DataFrame, sketches: DataFrame, lengths: list[int], broadcast: bool) -> DataFrame:
     """(key, uid): hashes of texts that hold enough sketch values of an item, and the item."""
-    seen = with_shingles(docs.select("text", F.xxhash64("text").alias("key"), F.monotonically_increasing_id().alias("row")), lengths, "hs")
-    seen = seen.select("key", "row", F.explode("hs").alias("h"))
+    seen = docs.select(F.xxhash64("text").alias("key"), F.monotonically_increasing_id().alias("row"), words(lowered(F.col("text"))).alias("w"))
+    seen = seen.select("key", "row", F.explode(all_shingles(F.col("w"), lengths)).alias("h"))
     found = seen.join(F.broadcast(sketches) if broadcast else sketches, "h")
     found = found.groupBy("row", "key", "uid").agg(F.count(F.lit(1)).alias("c"), F.first("hits").alias("hits"))
     return found.filter("c >= hits").select("key", "uid").distinct()
@@ -86,7 +85,8 @@ def contained(docs: DataFrame, items: DataFrame, size: int = 5, threshold: float
     scratch.drop(sketches)
     few = (lambda df: F.broadcast(df)) if pairs.count() <= broadcast_rows else (lambda df: df)
     texts = docs.select("doc_id", *keep, "text", F.xxhash64("text").alias("key")).join(few(pairs.select("key").distinct()), "key", "left_semi")
-    texts = with_shingles(texts, lengths, "seen")
+    texts = texts.select("doc_id", *keep, "key", words(lowered(F.col("text"))).alias("__rc_w"))
+    texts = texts.select("doc_id", *keep, "key", all_shingles(F.col("__rc_w"), lengths).alias("seen"))
     whole = sets.select("uid", "item_id", "n", "need", "hs")
     found = texts.join(few(pairs), "key").join(F.broadcast(whole) if n_values <= broadcast_rows else whole, "uid")
     found = found.withColumn("shared", F.size(F.array_intersect("hs", "seen"))).filter("shared >= need")
