@@ -72,12 +72,19 @@ def _bucket(code: np.ndarray) -> np.ndarray:
     return ((code * _ODD) >> np.uint64(64 - BITS)).astype(np.int64)
 
 
+def blocks(words: list[str], size: int = 16_384) -> Iterator[list[str]]:
+    """`grams` takes some hundred bytes a letter while it runs, so long lists go through it in blocks."""
+    for at in range(0, len(words), size):
+        yield words[at : at + size]
+
+
 def word_values(weight: np.ndarray, words: list[str]) -> np.ndarray:
     """Mean weight of each word's buckets."""
-    if not words:
-        return np.zeros(0)
-    bucket, owner = grams(words)
-    return np.bincount(owner, weight[bucket], len(words)) / np.bincount(owner, minlength=len(words))
+    out = [np.zeros(0)]
+    for block in blocks(words):
+        bucket, owner = grams(block)
+        out.append(np.bincount(owner, weight[bucket], len(block)) / np.bincount(owner, minlength=len(block)))
+    return np.concatenate(out)
 
 
 def text_words(text: str) -> list[str]:
@@ -213,9 +220,12 @@ def fit(windows: Windows, updates: int, rate: float = 0.15, seed: int = 1, batch
     """Vectors and softmax trained together by adaptive gradient steps: (logit share of each bucket, bias)."""
     ids, y = np.array(windows.ids), np.array(windows.label).astype(int)
     first = np.append(np.array(windows.first), len(ids))
-    flat, owner = grams(list(windows.vocab))
-    flat = flat[np.argsort(owner, kind="stable")]
-    ptr = np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=len(windows.vocab)))])
+    flat, sizes = [], [[0]]
+    for block in blocks(list(windows.vocab)):
+        bucket, owner = grams(block)
+        flat.append(bucket[np.argsort(owner, kind="stable")].astype(np.int32))
+        sizes.append(np.bincount(owner, minlength=len(block)))
+    flat, ptr = np.concatenate(flat), np.cumsum(np.concatenate(sizes))
     weight_of = np.where(y == 1, len(y) / 2 / max(1, (y == 1).sum()), len(y) / 2 / max(1, (y == 0).sum()))
     gen = np.random.default_rng(seed)
     e, w = gen.normal(0, 0.1, (BUCKETS, DIM)).astype(np.float32), gen.normal(0, 0.1, (2, DIM)).astype(np.float32)
@@ -267,7 +277,8 @@ def train(texts: list[str], labels: list[int], updates: int = 250, seed: int = 1
         kept = kept[len(apart) :]
     else:
         apart = kept
-    words = [[core(w) for w in text_words(t)] for t, _ in kept]
+    same: dict[str, str] = {}  # one object for all occurrences of a word
+    words = [[same.setdefault(w, w) for w in map(core, text_words(t))] for t, _ in kept]
     long = Windows()
     for ws, (_, y) in zip(words, kept, strict=True):
         long.add_text(ws, y, FIRST_WINDOW, rng)
