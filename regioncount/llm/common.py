@@ -49,6 +49,14 @@ class Scratch:
         at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
+def spread_join(rows: DataFrame, combined: DataFrame, key: str, by: str, salts: int = 4) -> DataFrame:
+    """rows joined with `combined`, which has one row a key. Rows are dealt by the key and a hash of `by`, so that a
+    frequent key is split at once, and further by the skew handling of joins, as neither side arrives already dealt."""
+    salt = F.pmod(F.xxhash64(by), F.lit(salts)).cast("int")
+    copies = combined.withColumn("__rc_salt", F.explode(F.array(*[F.lit(k) for k in range(salts)])))
+    return rows.withColumn("__rc_salt", salt).join(copies, [key, "__rc_salt"]).drop("__rc_salt")
+
+
 def clean_text(name: str = "text"):
     return F.coalesce(F.col(name), F.lit(""))
 

@@ -1,8 +1,8 @@
 """Connected components of an edge table, distributed: alternating large-star and small-star steps.
 
 Each step points nodes at smaller neighbours; when no edge changes every node points at the least node of its
-component. A step is a combined minimum, written to the shared folder, and a join with it. As both sides of the join
-are plain tables, a node with very many edges is split by the skew handling and is never gathered in one task.
+component. A step is a combined minimum and a join with it; the join is salted, so that a node with very many edges is
+dealt to several tasks and is never gathered in one. Every round is written to the shared folder.
 """
 
 from __future__ import annotations
@@ -10,32 +10,21 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from regioncount.llm.common import Scratch
+from regioncount.llm.common import Scratch, spread_join
 
 
-def _star(rows: DataFrame, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
-    """(rows with the least b of each a as m, the written minima)."""
-    least = scratch.save(rows.groupBy("a").agg(F.min("b").alias("m")), "least")
-    return rows.join(least, "a"), least
-
-
-def _large_star(edges: DataFrame, scratch: Scratch) -> DataFrame:
+def _large_star(edges: DataFrame) -> DataFrame:
     """Larger neighbours of every node go to the least of it and its neighbours."""
     both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    joined, least = _star(both, scratch)
-    out = joined.filter("b > a").select(F.col("b").alias("a"), F.least("a", "m").alias("b")).filter("a > b").distinct()
-    out = scratch.save(out, "large")
-    scratch.drop(least, edges)
-    return out
+    joined = spread_join(both.filter("b > a"), both.groupBy("a").agg(F.min("b").alias("m")), "a", "b")
+    return joined.select(F.col("b").alias("a"), F.least("a", "m").alias("b")).filter("a > b").distinct()
 
 
-def _small_star(edges: DataFrame, scratch: Scratch) -> DataFrame:
+def _small_star(edges: DataFrame) -> DataFrame:
     """Edges point from a to a smaller b: a and its neighbours go to the least of them."""
-    joined, least = _star(edges, scratch)
+    joined = spread_join(edges, edges.groupBy("a").agg(F.min("b").alias("m")), "a", "b")
     out = joined.select(F.col("b").alias("a"), F.col("m").alias("b")).union(joined.select("a", F.col("m").alias("b")))
-    out = scratch.save(out.filter("a > b").distinct(), "small")
-    scratch.drop(least, edges)
-    return out
+    return out.filter("a > b").distinct()
 
 
 def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
@@ -44,8 +33,9 @@ def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
     print_of = lambda df: tuple(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
     before = print_of(now)
     while before[0]:
-        now = _small_star(_large_star(now, scratch), scratch)
-        state = print_of(now)
+        after = scratch.save(_small_star(_large_star(now)), "edges")
+        scratch.drop(now)
+        now, state = after, print_of(after)
         if state == before:
             break
         before = state

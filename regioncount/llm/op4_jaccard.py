@@ -44,7 +44,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from regioncount.llm.common import Hashes, Scratch, give_back, slices
+from regioncount.llm.common import Hashes, Scratch, give_back, slices, spread_join
 from regioncount.llm.components import components
 
 _M = np.uint64(0x9E3779B97F4A7C15)
@@ -413,17 +413,14 @@ def class_links(docs: DataFrame, k: int, pct: int, scratch: Scratch, chunk_hashe
 
     parts = scratch.save(sets.mapInArrow(run, "rid bigint, s array<bigint>").select("rid", F.explode("s").alias("s")), "parts")
     leaders = scratch.save(parts.groupBy("s").agg(F.min("rid").alias("b"), F.count(F.lit(1)).alias("c")).filter("c > 1").select("s", "b"), "leaders")
-    stars = scratch.save(parts.join(leaders, "s").filter("rid <> b").select(F.col("rid").alias("a"), "b").distinct(), "stars")
+    blocks = components(parts.join(leaders, "s").filter("rid <> b").select(F.col("rid").alias("a"), "b"), scratch)
     scratch.drop(parts, leaders)
-    blocks = components(stars, scratch)
-    scratch.drop(stars)
     members = blocks.select(F.col("a").alias("rid"), F.col("b").alias("block")).union(blocks.select(F.col("b").alias("rid"), F.col("b").alias("block")).distinct())
     members = scratch.save(members.join(few(kept.select("rid", "n"), n_kept), "rid"), "members")
     sized = members.groupBy("block").agg(F.sum("n").alias("total")).withColumn("chunks", F.ceil(F.col("total") / chunk_hashes).cast("int"))
-    sized = scratch.save(sized.select("block", "chunks"), "sized")
     chunk = F.pmod(F.xxhash64("rid"), F.col("chunks")).cast("int")
-    placed = scratch.save(members.join(sized, "block").select("rid", "block", "chunks", chunk.alias("chunk")), "placed")
-    scratch.drop(members, sized, blocks)
+    placed = scratch.save(spread_join(members, sized.select("block", "chunks"), "block", "rid").select("rid", "block", "chunks", chunk.alias("chunk")), "placed")
+    scratch.drop(members, blocks)
     with_sets = sets.join(few(placed, n_kept), "rid").withColumn("component", F.col("rid")).withColumn("probe", F.lit(True))
     links = scratch.save(_search_groups(with_sets, ["block", "chunk"], pct), "links")
     if not placed.filter("chunks > 1").limit(1).count():
@@ -464,18 +461,18 @@ def _across_chunks(large: DataFrame, links: DataFrame, pct: int, scratch: Scratc
     return scratch.save(links.union(_search_groups(both, ["block", "chunk", "cut"], pct)), "links")
 
 
-def class_roots(classes: DataFrame, found: DataFrame, scratch: Scratch) -> DataFrame:
+def class_roots(classes: DataFrame, found: DataFrame) -> DataFrame:
     """(cid, component_id): the least doc_id of each class's component."""
     ids = _with_component(classes.select("cid", "rid", "doc_id"), found)
-    roots = scratch.save(ids.groupBy("component").agg(F.min("doc_id").alias("component_id")), "roots")
-    return scratch.save(ids.join(roots, "component").select("cid", "component_id"), "class_roots")
+    roots = ids.groupBy("component").agg(F.min("doc_id").alias("component_id"))
+    return spread_join(ids, roots, "component", "rid").select("cid", "component_id")
 
 
 def components_of(docs: DataFrame, k: int = 3, pct: int = 90, chunk_hashes: int = 800_000) -> DataFrame:
     """(doc_id, n_shingles, component_id) of every document."""
     scratch = Scratch(docs.sparkSession)
     rows, classes, found = class_links(docs, k, pct, scratch, chunk_hashes)
-    with_set = rows.filter("cid is not null").join(class_roots(classes, found, scratch), "cid").select("doc_id", F.col("n").cast("long").alias("n_shingles"), "component_id")
+    with_set = rows.filter("cid is not null").join(class_roots(classes, found), "cid").select("doc_id", F.col("n").cast("long").alias("n_shingles"), "component_id")
     without = rows.filter("cid is null").select("doc_id", F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id"))
     return with_set.union(without)
 
@@ -491,7 +488,7 @@ def keep_one(docs: DataFrame, k: int = 5, pct: int = 80, broadcast_rows: int = 5
     digest = F.unhex(F.md5(F.col("text").cast("binary")))
     name = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id").alias("id"), digest.alias("digest"))
     rows, classes, found = class_links(docs.select(name.alias("doc_id"), "text"), k, pct, scratch)
-    roots = class_roots(classes, found, scratch)
+    roots = class_roots(classes, found)
 
     def named(names: DataFrame, what: str) -> tuple[DataFrame, Column, int]:
         """The written names, by broadcast where they are few; the condition of a join with them; their number."""
@@ -502,7 +499,7 @@ def keep_one(docs: DataFrame, k: int = 5, pct: int = 80, broadcast_rows: int = 5
     losers, same, _ = named(rows.filter("cid is not null").join(roots, "cid").filter("doc_id <> component_id").select("doc_id").distinct(), "losers")
     repeated = rows.filter("cid is not null or not doc_id.last").groupBy("doc_id").agg(F.count(F.lit(1)).alias("c")).filter("c > 1")
     twice, again, n_twice = named(repeated, "twice")
-    scratch.drop(rows, classes, roots)
+    scratch.drop(rows, classes)
     kept = docs.join(losers, same, "left_anti")
     if not n_twice:
         return kept
