@@ -301,8 +301,9 @@ def test_pipeline_stages_against_brute_force(spark, sf_dir):
     names = docs.columns
     out = c.toxicity(spark, docs, sf_dir)
     model = op3_toxicity.train(*op3_toxicity.labelled_sample(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
-    seen = model.seen()
-    assert out.columns == names and {r.doc_id for r in out.collect()} == {r.doc_id for r in docs.collect() if model.score(r.text or "", seen) < 0.5}
+    texts = docs.select("doc_id", "text").collect()
+    scores = model.scorer().scores([r.text or "" for r in texts])
+    assert out.columns == names and {r.doc_id for r in out.collect()} == {r.doc_id for r, x in zip(texts, scores, strict=True) if x < 0.5}
     one = c.near_duplicates(spark, docs, sf_dir)
     rows = [(r.doc_id, r.text) for r in docs.collect()]
     assert one.columns == names and {str(r.doc_id) for r in one.collect()} == {i for i, n, comp in brute_components(rows, 5, 80) if n == 0 or i == comp}
