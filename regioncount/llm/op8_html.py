@@ -10,7 +10,7 @@ The trees are trained here on generated pages of many layouts with known article
 bound). Scripts, styles, head, forms, templates and their like are never text.
 
 A block is the text between two block-level boundaries; a line break inside a block counts as white space. Defined
-cases: null or empty html gives the empty text; unclosed, stray and misnested tags are repaired as browsers commonly
+cases: null or empty html gives the empty text; plain wrappers are taken out first, so nesting without meaning does not count; unclosed, stray and misnested tags are repaired as browsers commonly
 do; text outside any element is judged with the root; repeated rows are extracted one by one; very long pages are read
 whole, without recursion; extra columns are ignored; an empty table gives an empty result.
 """
@@ -39,6 +39,11 @@ CLOSES = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "d
 #: Words of class and id attributes that speak for and against the article.
 GOOD = frozenset("article body content entry main page post story text prose chapter".split())
 BAD = frozenset("ad ads advert advertisement banner breadcrumb breadcrumbs comment comments consent cookie copyright disclaimer discussion disqus feedback footer form header login menu modal nav navbar navigation newsletter notice pager pagination popup promo promoted related replies reply respond search share sharing sidebar signup skip social sponsor sponsored subscribe tags toolbar top widget".split())
+#: Elements that may wrap another without a meaning of their own.
+WRAPPERS = frozenset(("div", "section", "center"))
+INLINE_WRAPPERS = frozenset(("span", "font"))
+#: Deeper nodes count as this deep.
+DEEPEST = 8
 CONTAINER, ARTICLE, BOILER = 0, 1, 2
 _WORD = re.compile(r"[a-z]+")
 
@@ -56,6 +61,13 @@ class _Builder(HTMLParser):
     def __init__(self):
         super().__init__(convert_charrefs=True)
         self.page, self.open = Page(), [0]
+        #: Open elements by tag, so that a stray end tag costs no search.
+        self.count: dict[str, int] = {}
+
+    def _cut(self, k: int) -> None:
+        for x in self.open[k:]:
+            self.count[self.page.tag[x]] -= 1
+        del self.open[k:]
 
     def handle_starttag(self, tag, attrs):
         p = self.page
@@ -73,26 +85,31 @@ class _Builder(HTMLParser):
             p.runs.append((self.open[-1], " "))
         if tag not in VOID:
             self.open.append(node)
+            self.count[tag] = self.count.get(tag, 0) + 1
 
     def handle_startendtag(self, tag, attrs):
         self.handle_starttag(tag, attrs)
 
     def _close(self, tags, borders):
+        if not any(self.count.get(t) for t in tags):
+            return
         for k in range(len(self.open) - 1, 0, -1):
             t = self.page.tag[self.open[k]]
             if t in tags:
-                del self.open[k:]
+                self._cut(k)
                 self.page.runs.append((self.open[-1], None))
                 return
             if t in borders:
                 return
 
     def handle_endtag(self, tag):
+        if not self.count.get(tag):
+            return
         for k in range(len(self.open) - 1, 0, -1):
             if self.page.tag[self.open[k]] == tag:
                 if any(self.page.tag[x] in BLOCK for x in self.open[k:]):
                     self.page.runs.append((self.open[k - 1], None))
-                del self.open[k:]
+                self._cut(k)
                 return
             if self.page.tag[self.open[k]] in ("td", "th", "table") and tag not in BLOCK:
                 return
@@ -101,11 +118,48 @@ class _Builder(HTMLParser):
         self.page.runs.append((self.open[-1], data))
 
 
+def plain_wrappers(p: Page) -> list[bool]:
+    """Whether each node adds nothing to its only child element that has text: no text of its own and no attribute
+    word that speaks for or against the article. A block wraps a block, an inline element any."""
+    n = len(p.tag)
+    children, texts, below = [0] * n, [False] * n, [False] * n
+    only = [0] * n
+    for node, text in p.runs:
+        if text and not text.isspace():
+            texts[node] = below[node] = True
+    for k in range(n - 1, 0, -1):
+        if below[k]:
+            below[p.parent[k]] = True
+            children[p.parent[k]] += 1
+            only[p.parent[k]] = k
+    wraps = [p.tag[k] in INLINE_WRAPPERS or p.tag[k] in WRAPPERS and p.tag[only[k]] in BLOCK for k in range(n)]
+    return [k > 0 and wraps[k] and children[k] == 1 and not texts[k] and not p.words[k] & (GOOD | BAD) for k in range(n)]
+
+
+def collapse(p: Page, gone: list[bool]) -> tuple[Page, list[int]]:
+    """The page without these nodes, whose children and block boundaries go to their parents, and the nodes that stay.
+
+    So the depth of nesting alone decides nothing: a text below thousands of plain wrappers is judged as below none.
+    """
+    if not any(gone):
+        return p, list(range(len(p.tag)))
+    at, stay = [0] * len(gone), []
+    for k, out in enumerate(gone):
+        if out:
+            at[k] = at[p.parent[k]]
+        else:
+            at[k] = len(stay)
+            stay.append(k)
+    page = Page([p.tag[k] for k in stay], [p.words[k] for k in stay], [at[p.parent[k]] if k else -1 for k in stay])
+    page.runs = [(at[node], text) for node, text in p.runs]
+    return page, stay
+
+
 def parse(source: str) -> Page:
     b = _Builder()
     b.feed(source)
     b.close()
-    return b.page
+    return collapse(b.page, plain_wrappers(b.page))[0]
 
 
 FEATURES = ("depth", "nodes", "chars", "own_chars", "density", "link_share", "paragraphs", "stops", "words_per_run", "start", "end", "of_parent", "of_page", "place", "siblings", "same_tag", "good", "bad", "good_above", "bad_above", "is_p", "is_div", "is_list", "is_heading", "is_inline", "is_article", "is_boiler_tag", "is_table", "in_article_tag", "in_boiler_tag", "hidden", "is_root", "article_below", "headings", "before_article", "after_article")
@@ -121,7 +175,7 @@ def features(p: Page) -> np.ndarray:
     for k in range(n):
         t, up = p.tag[k], p.parent[k]
         if up >= 0:
-            depth[k] = depth[up] + 1
+            depth[k] = min(DEEPEST, depth[up] + 1)
             good_above[k] = good_above[up] + len(p.words[up] & GOOD)
             bad_above[k] = bad_above[up] + len(p.words[up] & BAD)
             in_art[k] = in_art[up] + (p.tag[up] in _ARTICLE_TAGS)
@@ -220,7 +274,7 @@ def make_page(rng: random.Random) -> str:
     def body_block() -> str:
         kind = rng.random()
         if kind < 0.62:
-            t = prose(1, choose([1, 3, 8]))
+            t = prose(1, choose([1, 3, 8])) if odds(0.95) else (word() + choose([" ", ", "])) * choose([20, 300, 2500])
             if odds(0.15):
                 t = f"<b data-m>{t}<br>" if odds(0.7) else f"<b data-m>{t}</b>"
             elif odds(0.2):
@@ -246,9 +300,12 @@ def make_page(rng: random.Random) -> str:
         return choose([prose(1, 4), word(), f"<p data-m>{word()}<p data-m>{word()}"]) if odds(0.5) else inner if odds(0.7) else f"<div data-m>{inner}</div>"
     if odds(0.2):
         inner = f"<div data-m>{inner}</div>"
-    main = inner if odds(0.06) else choose([f"<article data-m>{inner}</article>"] * 5 + [f"<main data-m>{inner}</main>", f'<div data-m class="{choose(["content", "post", "entry-content", "article-body", "story"])}">{inner}</div>', f'<div data-m id="{choose(["content", "main", "text"])}">{inner}</div>', f"<main><article data-m>{inner}</article></main>"])
+    main = inner if odds(0.06) else choose([f"<article data-m>{inner}</article>"] * 5 + [f"<div data-m>{inner}</div>"] * 2 + [f"<main data-m>{inner}</main>", f'<div data-m class="{choose(["content", "post", "entry-content", "article-body", "story"])}">{inner}</div>', f'<div data-m id="{choose(["content", "main", "text"])}">{inner}</div>', f"<main><article data-m>{inner}</article></main>"])
     if odds(0.15):
         main = f'<div class="{choose(["wrapper", "container", "row", "col"])}">{main}</div>'
+    if odds(0.12):  # nested wrappers that do not collapse, each beside an empty element
+        for _ in range(rng.randint(1, 12)):
+            main = f"<div>{choose(['<hr>', '<div></div>', '<img src=x>'])}{main}</div>"
     top, bottom = [], []
     if odds(0.85):
         top.append(f"<nav><ul>{links(rng.randint(3, 9))}</ul></nav>" if odds(0.8) else f'<div class="menu"><ul>{links(6)}</ul></div>')
@@ -295,7 +352,8 @@ def labelled(source: str) -> tuple[Page, np.ndarray]:
         up = b.page.parent[k]
         if up >= 0 and state[k] in (ARTICLE, CONTAINER) and not b.marks[up]:
             state[up] = CONTAINER
-    return b.page, state
+    page, stay = collapse(b.page, plain_wrappers(b.page))
+    return page, state[stay]
 
 
 @dataclass
@@ -330,7 +388,7 @@ class Extractor:
         return out
 
 
-def train(n_pages: int = 700, seed: int = 5) -> Extractor:
+def train(n_pages: int = 1000, seed: int = 5) -> Extractor:
     rng = random.Random(seed)
     x, y = [], []
     for _ in range(n_pages):
@@ -338,7 +396,7 @@ def train(n_pages: int = 700, seed: int = 5) -> Extractor:
         x.append(features(p))
         y.append(state)
     x, y = np.concatenate(x), np.concatenate(y)
-    return Extractor(gbt.fit(x, (y == ARTICLE).astype(float), trees=30, depth=4), gbt.fit(x, (y == CONTAINER).astype(float), trees=15, depth=3))
+    return Extractor(gbt.fit(x, (y == ARTICLE).astype(float), trees=40, depth=4), gbt.fit(x, (y == CONTAINER).astype(float), trees=15, depth=3))
 
 
 def extract(pages: DataFrame, model: Extractor | None = None) -> DataFrame:

@@ -1,6 +1,7 @@
 """URL filter, toxicity, main text and personal data: held-out accuracy and edge cases."""
 
 import math
+import html
 import random
 import re
 import zlib
@@ -147,6 +148,24 @@ def test_main_text_on_unseen_layouts():
     assert m.texts(["", None, "plain &amp; text", "<p>a<p>b"]) == ["", "", "plain & text", "a\nb"]
 
 
+def test_nesting_alone_loses_nothing():
+    m = h.train()
+    prose = "First paragraph, with some words in it. And a second sentence."
+    shell = "<html><body><nav><ul><li><a href=/>Home</a></li><li><a href=/a>News</a></li></ul></nav>{}<footer>Copyright of somebody.</footer></body></html>"
+    for wrap in ("<div>{}</div>", "<div><hr>{}</div>", "<section class=col>{}</section>", "<div><div></div>{}</div>", "<span>{}</span>", "<div>{}<p></p></div>"):
+        before, after = wrap.split("{}")
+        for depth in (1, 10, 15, 100, 3000):
+            inside = before * depth + f"<p>{prose}</p>" + after * depth
+            assert m.texts([inside, shell.format(inside + "<p>Another one follows.</p>")]) == [prose, f"{prose}\nAnother one follows."], (wrap, depth)
+    assert m.texts(["<div>" * 3000 + "deep", "<div>" * 20_000 + "</b>" * 20_000 + "deep"]) == ["deep", "deep"]
+
+
+def test_wrappers_collapse_and_keep_boundaries():
+    p = h.parse("a<div><div><p>b</p></div></div>c<div class=footer><p>d</p></div>")
+    assert p.tag == ["#root", "p", "div", "p"] and p.parent == [-1, 0, 0, 2]
+    assert h.assemble(p, [h.ARTICLE] * 4) == "a\nb\nc\nd"
+
+
 def test_main_text_states_do_not_contradict():
     rng = np.random.default_rng(2)
     for seed in range(30):
@@ -163,12 +182,18 @@ def test_main_text_table(spark, messy_pages, sf_dir):
     m = h.train(300)
     rows = h.extract(messy_pages, m).collect()
     assert len(rows) == messy_pages.count() and all(r.n_chars == len(r.text) for r in rows)
+    assert {r.page_id: r.text for r in h.extract(messy_pages).collect()} == {1: "a\nb", 2: "", 3: "", 4: "deep", 5: "plain & text", None: "x"}
     assert h.extract(messy_pages.limit(0), m).count() == 0
     pages = spark.read.parquet(f"{sf_dir}/pages.parquet")
     for r in h.extract(pages, h.train()).join(pages.select("page_id", "html"), "page_id").collect():
         inner = re.search(r"(?s)<article>(.*?)</article>", r.html)[1]
-        blocks = [" ".join(re.sub(r"<[^>]*>", " ", b).split()) for b in re.split(r"</?(?:p|h1)[^>]*>", inner)]
-        assert "&" in inner or r.text == "\n".join(b for b in blocks if b)
+        blocks = [" ".join(html.unescape(re.sub(r"<[^>]*>", " ", b)).split()) for b in re.split(r"</?(?:p|h1)[^>]*>", inner)]
+        assert r.text == "\n".join(b for b in blocks if b)
+    # the same without the telling tag: nearly all pages as before
+    sources = [r.html for r in pages.select("html").collect()]
+    plain = [re.sub(r"(</?)article>", r"\1div>", x) for x in sources]
+    full = h.train()
+    assert sum(a != b for a, b in zip(full.texts(sources), full.texts(plain), strict=True)) <= len(sources) // 50
 
 
 def brute_base(text):
