@@ -7,7 +7,9 @@ back-pointers; following them from the end gives the ids. No merge queue is simu
 
 Words are what the vocabulary's pre-tokenizer makes of a text: special tokens are taken out first, then NFC, lower
 case, and a split at white space and between letters, digits and others. None of it reaches across white space, so
-results are cached by white-space separated chunk (a bounded cache per worker).
+results are cached by white-space separated chunk (a bounded cache per worker). Chunks beyond ASCII are normalised and
+split by the normalizer and pre-tokenizer that the vocabulary file describes, run by the tokenizers library without
+any vocabulary, since Python's Unicode tables are of another version; ids always come from the programme here.
 
 Defined cases: null text is the empty text with no ids (digests of the empty string); repeated rows are encoded one by
 one; very long words cost time in proportion to their length; extra columns are ignored or kept, as stated.
@@ -17,7 +19,6 @@ from __future__ import annotations
 
 import hashlib
 import json
-import unicodedata
 import zlib
 from collections.abc import Iterator
 
@@ -27,8 +28,6 @@ from pyspark.sql import DataFrame
 
 from regioncount.llm.common import Recent, once_per_process, slices
 
-#: How byte-level vocabularies write bytes (printable ones as themselves, the others from 256 up).
-_PRINTABLE = [*range(33, 127), *range(161, 173), *range(174, 256)]
 #: Fixed value: the pre-tokenizer's pattern in the vocabulary file.
 _PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 _END = "\x01"
@@ -36,11 +35,6 @@ _END = "\x01"
 CACHE_ENTRIES, PAIR_ENTRIES = 150_000, 300_000
 
 
-def byte_alphabet() -> list[str]:
-    spare = iter(range(256, 512))
-    return [chr(b) if b in _PRINTABLE else chr(next(spare)) for b in range(256)]
-
-
 class Vocabulary:
     """A vocabulary file as it travels to workers: compressed, read by the driver alone, built once in a process."""
 
@@ -84,14 +78,24 @@ class Encoder:
             written = text.removesuffix(self.suffix) + _END if text.endswith(self.suffix) and text != self.suffix else text
             self.automaton.add_word(written, (len(written), i))
         self.automaton.make_automaton()
-        self.alphabet = byte_alphabet()
+        self.split_words = self._splitter(spec)
         self.pieces = regex.compile(_PIECES).findall
         self.chunks = regex.compile(r"\S+").findall
         self.specials = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")").split if self.special else None
         self.cache = Recent(self._entry, CACHE_ENTRIES)
-        self.words = Recent(self._piece, CACHE_ENTRIES)
+        self.words = Recent(self.word_ids, CACHE_ENTRIES)
         self.fits: dict[int, bool] = {}
 
+    @staticmethod
+    def _splitter(spec: dict):
+        """Words of a chunk, in the byte alphabet, by the file's normalizer and pre-tokenizer alone."""
+        import tokenizers
+
+        empty = {"type": "BPE", "dropout": None, "unk_token": None, "continuing_subword_prefix": None, "end_of_word_suffix": None, "fuse_unk": False, "byte_fallback": False, "vocab": {}, "merges": []}
+        steps = tokenizers.Tokenizer.from_str(json.dumps(spec | {"model": empty, "added_tokens": [], "truncation": None, "padding": None, "post_processor": None, "decoder": None}))
+        normal, words = steps.normalizer.normalize_str, steps.pre_tokenizer.pre_tokenize_str
+        return lambda chunk: [w for w, _ in words(normal(chunk))]
+
     def compatible(self, a: int, b: int) -> bool:
         """Whether a and b side by side stay as they are.
 
@@ -155,18 +159,11 @@ class Encoder:
 
     def _plain(self, chunk: str) -> list[int]:
         out: list[int] = []
-        # one character at a time, so that a final sigma is lowered like any other
-        text = unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower()
         get, miss = self.words.get, self.words.miss
-        for piece in self.pieces(text):
-            out += get(piece) or miss(piece)
+        for word in self.pieces(chunk.lower()) if chunk.isascii() and chunk.isprintable() else self.split_words(chunk):
+            out += get(word) or miss(word)
         return out
 
-    def _piece(self, piece: str) -> list[int]:
-        if not (piece.isascii() and piece.isprintable()):
-            piece = "".join([self.alphabet[b] for b in piece.encode("utf-8")])
-        return self.word_ids(piece)
-
     def forget(self) -> None:
         """Empty the caches: a worker lives on between tasks."""
         self.cache.clear()

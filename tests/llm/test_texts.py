@@ -216,6 +216,22 @@ def test_ids_and_text_as_the_library(enc, library, sf_dir, spark):
         assert ids == want and enc.decode(ids) == library.decode(want, skip_special_tokens=False)
 
 
+def test_random_strings_of_all_scripts_as_the_library(enc, library):
+    """Code points that Python leaves unassigned and rare combining marks among them."""
+    rng = random.Random(11)
+    marks = "\u0558\u058c\u0c5c \n\x85\u2003\x1c\u200b'\u0130\u03a3\u1e9e"
+
+    def one():
+        r, c = rng.random(), rng.randint(0x80, 0x1FFFF)
+        return chr(rng.randint(32, 126)) if r < 0.25 else rng.choice(marks) if r < 0.35 else chr(rng.randint(0x80, 0x2FFF)) if r < 0.65 else chr(rng.choice((rng.randint(0x300, 0x36F), rng.randint(0x8D0, 0x9FF), rng.randint(0x1100, 0x11FF)))) if r < 0.8 else "x" if 0xD800 <= c < 0xE000 else chr(c)
+
+    for _ in range(20_000):
+        text = "".join(one() for _ in range(rng.randint(0, 7)))
+        want = library.encode(text, add_special_tokens=False)
+        got = enc.encode(text)
+        assert got == want.ids and enc.decode(got) == library.decode(want.ids, skip_special_tokens=False), text.encode("unicode_escape")
+
+
 def test_compatible_pairs_stay_themselves(enc):
     """Tokens side by side that fit encode to themselves; checked by merging step by step."""
     rank = {(x, y): r for r, (x, y) in enumerate(enc.merges)}
