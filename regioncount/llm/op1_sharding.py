@@ -1,75 +1,146 @@
 """Sharding by a hierarchical weighted hash tree: region, rack, shard.
 
-Every shard (leaf) draws for a key: -ln(u) / weight, u from md5 of the key and the shard. A rack draws the least of
-its shards' draws, a region the least of its racks' draws, and a key descends: least region, least rack in it, least
-shard in that. The least of exponential draws is an exponential draw whose rate is the sum of the weights, so each
-level is a draw weighted by the subtree. Because an inner node's draw is made of its leaves', a changed or added leaf
-moves keys only into or out of itself: movement is confined to the changed subtree at every level.
+A tree has a fixed shape of places, each with a capacity; a shard fills a place with a weight up to that capacity. A
+key descends from the root: at each level it draws a child with odds in proportion to the capacity of the child's
+subtree, by bits of one md5 of the key and the number of the attempt, so only the path taken is hashed. At the place
+that it reaches, a last draw accepts it with odds weight / capacity (an empty place never does); else the key starts
+again from the root with the next attempt. So it ends in a subtree with odds in proportion to the subtree's weight.
+Level draws depend on capacities alone, so a changed weight changes acceptance at one place only: keys move only into
+or out of the changed shard, and no draw outside its path is looked at. After ATTEMPTS refusals (2 of a million keys
+with 24 of 36 places filled) the least exponential draw among all shards decides, which has the same property.
 
 Law of the query: `key`. doc_id and the shard count decide; one more shard takes rows only into itself.
 
 Defined cases: null doc_id is the key ''; null text has size 8 and crc 0; rows with equal doc_id share a shard;
-repeated rows each get a slot of their own; an empty table gives an empty result. Extra columns are ignored.
+repeated rows each get a slot of their own; an empty table gives an empty result. Extra columns are ignored. A tree
+without weight, a weight above its place's capacity and more shards than places are refused. Among many buckets,
+slots follow the buckets (see `number_slots`), so their order differs from that of a small table.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import accumulate
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+#: Descents before the flat choice, and the range of a draw (eight hexadecimal digits).
+ATTEMPTS, RANGE = 12, 2**32
+
 
 @dataclass(frozen=True)
-class Leaf:
-    shard: int
-    region: int
-    rack: int
-    weight: float = 1.0
+class Tree:
+    """Places by number: `shards` in a rack, `racks` in a region. Weight 0: the place is empty."""
+
+    regions: int
+    racks: int
+    shards: int
+    weights: tuple[float, ...]
+    capacities: tuple[float, ...]
+
+    def __post_init__(self):
+        if not len(self.weights) == len(self.capacities) == self.regions * self.racks * self.shards:
+            raise ValueError("one weight and one capacity a place")
+        if not any(self.weights) or any(not 0 <= w <= c for w, c in zip(self.weights, self.capacities, strict=True)):
+            raise ValueError("weights lie between 0 and the capacity, and not all are 0")
+
+
+def tree(n_shards: int, shape: tuple[int, int, int] = (3, 3, 4), weights: dict[int, float] | None = None, capacity: float = 1.0) -> Tree:
+    """Shards 0..n-1 in the first places, with weight 1 unless given. Trees of one shape and capacity are comparable."""
+    places = shape[0] * shape[1] * shape[2]
+    if n_shards > places:
+        raise ValueError(f"{n_shards} shards do not fit into {places} places; use a larger shape")
+    filled = [(weights or {}).get(k, 1.0) if k < n_shards else 0.0 for k in range(places)]
+    return Tree(*shape, tuple(filled), (capacity,) * places)
+
+
+def _let(value: Column, body) -> Column:
+    """body(value) with the value computed once."""
+    return F.transform(F.array(value), body)[0]
+
+
+def _bits(digest: Column, part: int) -> Column:
+    return F.conv(F.substring(digest, 8 * part + 1, 8), 16, 10).cast("long")
+
+
+def _draw_child(bits: Column, capacities: list[float]) -> Column:
+    """Number of the child that the bits fall on, with odds in proportion to the capacities."""
+    total = sum(capacities)
+    bounds = [-int(-upto * RANGE // total) for upto in accumulate(capacities)][:-1]
+    return _let(bits, lambda x: sum(((x >= F.lit(n)).cast("int") for n in bounds), F.lit(0)))
 
 
-def tree(n_shards: int, shards_per_rack: int = 4, racks_per_region: int = 3, weights: dict[int, float] | None = None) -> list[Leaf]:
-    """Shards 0..n-1 filled into racks, racks into regions."""
-    at = [s // shards_per_rack for s in range(n_shards)]
-    return [Leaf(s, at[s] // racks_per_region, at[s], (weights or {}).get(s, 1.0)) for s in range(n_shards)]
+def _below(node: Column, bits: Column, sizes: list[tuple[float, ...]]) -> Column:
+    """Child drawn below the node that was reached; the draws of the other nodes are not computed."""
+    out = None
+    for size in set(sizes):
+        where = F.array(*[F.lit(s == size) for s in sizes])[node]
+        out = F.when(where, _draw_child(bits, size)) if out is None else out.when(where, _draw_child(bits, size))
+    return out if len(set(sizes)) > 1 else _draw_child(bits, sizes[0])
 
 
-def draw(key: Column, leaf: Leaf) -> Column:
-    """Exponential draw of one leaf for a key; the same in any engine with md5."""
-    digits = F.conv(F.substring(F.md5(F.concat(key, F.lit(f":{leaf.shard}"))), 1, 13), 16, 10).cast("double")
-    return -F.log((digits + F.lit(0.5)) / F.lit(2.0**52)) / F.lit(leaf.weight)
+def _place(digest: Column, t: Tree) -> Column:
+    """Number of the place that a digest leads to, level by level."""
+    groups = [t.capacities[k : k + t.shards] for k in range(0, len(t.capacities), t.shards)]
+    racks = [tuple(sum(g) for g in groups[k : k + t.racks]) for k in range(0, len(groups), t.racks)]
+    region = _draw_child(_bits(digest, 0), [sum(r) for r in racks])
+    rack = _let(region, lambda r: r * t.racks + _below(r, _bits(digest, 1), racks))
+    return _let(rack, lambda r: r * t.shards + _below(r, _bits(digest, 2), groups))
 
 
-def _pick(column: str, numbers: list[int]) -> Column:
-    """Structs (draw, number) of these members, from the array of draws at one level."""
-    return F.array(*[F.struct(F.col(column)[n].alias("d"), F.lit(n).alias("n")) for n in numbers])
+def _accepted(place: Column, digest: Column, t: Tree) -> Column:
+    """The place where the tree takes the key there, else null."""
+    if all(w in (0, c) for w, c in zip(t.weights, t.capacities, strict=True)):
+        return F.when(F.array(*[F.lit(w > 0) for w in t.weights])[place], place)
+    odds = F.array(*[F.lit(int(w / c * RANGE) if c else 0).cast("long") for w, c in zip(t.weights, t.capacities, strict=True)])
+    return F.when(_bits(digest, 3) < odds[place], place)
 
 
-def descend(df: DataFrame, leaves: list[Leaf], draws: str, into: str) -> DataFrame:
-    """Add the shard `into` which a row reaches from the root; `draws` is the array of leaf draws by shard number.
+def flat_choice(key: Column, t: Tree) -> Column:
+    """Shard of the least exponential draw -ln(u) / weight; ties go to the lower number."""
+    draws = []
+    for k, w in enumerate(t.weights):
+        if w:
+            digits = F.conv(F.substring(F.md5(F.concat(key, F.lit(f":leaf:{k}"))), 1, 13), 16, 10).cast("double")
+            draws.append(F.struct((-F.log((digits + 0.5) / F.lit(2.0**52)) / F.lit(float(w))).alias("d"), F.lit(k).alias("n")))
+    return F.array_min(F.array(*draws))["n"]
 
-    Each level is a column of its own, so that it is computed once. Ties go to the lower number.
+
+def descend(df: DataFrame, key: Column, trees: dict[str, Tree], attempts: int = ATTEMPTS) -> DataFrame:
+    """Add the shard of each row in each of the trees, by column name; trees of one shape and capacities share their draws.
+
+    An attempt is hashed only for rows that some tree has not taken yet. No shuffle.
     """
-    racks: dict[int, list[int]] = {}
-    regions: dict[int, list[int]] = {}
-    for x in sorted(leaves, key=lambda x: x.shard):
-        racks.setdefault(x.rack, []).append(x.shard)
-        if x.rack not in regions.setdefault(x.region, []):
-            regions[x.region].append(x.rack)
-    if sorted(racks) != list(range(len(racks))) or sorted(regions) != list(range(len(regions))):
-        raise ValueError("racks and regions are numbered from 0")
-    df = df.withColumn("__rc_racks", F.array(*[F.array_min(F.array(*[F.col(draws)[s] for s in racks[r]])) for r in sorted(racks)]))
-    df = df.withColumn("__rc_regions", F.array(*[F.array_min(F.array(*[F.col("__rc_racks")[r] for r in regions[g]])) for g in sorted(regions)]))
-    df = df.withColumn("__rc_region", F.array_min(_pick("__rc_regions", sorted(regions)))["n"])
-    df = df.withColumn("__rc_rack", F.array_min(F.array(*[_pick("__rc_racks", regions[g]) for g in sorted(regions)])[F.col("__rc_region")])["n"])
-    df = df.withColumn(into, F.array_min(F.array(*[_pick(draws, racks[r]) for r in sorted(racks)])[F.col("__rc_rack")])["n"])
-    return df.drop("__rc_racks", "__rc_regions", "__rc_region", "__rc_rack")
-
-
-def assign(df: DataFrame, leaves: list[Leaf], key: str = "doc_id", into: str = "shard") -> DataFrame:
-    """Add the shard of each row. No shuffle: md5 draws and comparisons only."""
-    draws = F.array(*[draw(F.coalesce(F.col(key).cast("string"), F.lit("")), x) for x in sorted(leaves, key=lambda x: x.shard)])
-    return descend(df.withColumn("__rc_draws", draws), leaves, "__rc_draws", into).drop("__rc_draws")
+    if len({(t.regions, t.racks, t.shards, t.capacities) for t in trees.values()}) > 1:
+        raise ValueError("trees of one descent have one shape and the same capacities")
+    first = next(iter(trees.values()))
+
+    def attempt(reached: Column, k: Column) -> Column:
+        taken = F.lit(True)
+        for name in trees:
+            taken = taken & reached[name].isNotNull()
+
+        def go(digest: Column) -> Column:
+            return _let(_place(digest, first), lambda p: F.struct(*[F.coalesce(reached[name], _accepted(p, digest, t)).alias(name) for name, t in trees.items()]))
+
+        return F.when(taken, reached).otherwise(_let(F.md5(F.concat(key, F.lit(":"), k.cast("string"))), go))
+
+    nowhere = F.struct(*[F.lit(None).cast("int").alias(name) for name in trees])
+    numbers = F.array(*[F.lit(k) for k in range(attempts)]).cast("array<int>")
+    df = df.withColumn("__rc_reached", F.aggregate(numbers, nowhere, attempt))
+    # the last 0 is never reached; it tells the optimizer that no shard is null
+    found = {name: F.coalesce(F.col("__rc_reached")[name], F.when(F.col("__rc_reached")[name].isNull(), flat_choice(key, t)), F.lit(0)) for name, t in trees.items()}
+    return df.withColumns(found).drop("__rc_reached")
+
+
+def _key(column: str) -> Column:
+    return F.coalesce(F.col(column).cast("string"), F.lit(""))
+
+
+def assign(df: DataFrame, t: Tree, key: str = "doc_id", into: str = "shard") -> DataFrame:
+    """Add the shard of each row."""
+    return descend(df, _key(key), {into: t})
 
 
 def number_slots(df: DataFrame, rows: int, n_shards: int, order: list[str], rows_per_bucket: int = 100_000) -> DataFrame:
@@ -92,21 +163,17 @@ def number_slots(df: DataFrame, rows: int, n_shards: int, order: list[str], rows
     )
 
 
-def shard_documents(docs: DataFrame, n_shards: int = 24) -> DataFrame:
+def shard_documents(docs: DataFrame, n_shards: int = 24, shape: tuple[int, int, int] = (3, 3, 4)) -> DataFrame:
     """The contract's columns for all documents, with region and rack after them."""
-    leaves, grown = tree(n_shards), tree(n_shards + 1)
-    key = F.coalesce(F.col("doc_id").cast("string"), F.lit(""))
     rows = docs.select(
         "doc_id",
         (F.coalesce(F.octet_length("text"), F.lit(0)) + 8).cast("long").alias("size"),
         F.crc32(F.encode(F.coalesce("text", F.lit("")), "UTF-8")).alias("text_crc32"),
-        F.array(*[draw(key, x) for x in grown]).alias("__rc_draws"),
     )
-    rows = descend(rows, leaves, "__rc_draws", "shard")
-    last = F.col("__rc_draws")[n_shards] < F.array_min(F.slice("__rc_draws", 1, n_shards))
-    rows = rows.withColumn("grown_shard", F.when(last, F.lit(n_shards)).otherwise(F.col("shard"))).drop("__rc_draws")
+    rows = descend(rows, _key("doc_id"), {"shard": tree(n_shards, shape), "grown_shard": tree(n_shards + 1, shape)})
     numbered = number_slots(rows, docs.count(), n_shards, ["doc_id", "text_crc32", "size"])
+    rack = F.floor(F.col("shard") / shape[2]).cast("int")
     return numbered.select(
         "doc_id", "size", "text_crc32", F.lit("key").alias("law"), F.col("shard").cast("int").alias("shard"), "slot",
-        F.col("grown_shard").cast("int").alias("grown_shard"), F.expr("shard div 4 div 3").cast("int").alias("region"), F.expr("shard div 4").cast("int").alias("rack"),
+        F.col("grown_shard").cast("int").alias("grown_shard"), F.floor(rack / shape[1]).cast("int").alias("region"), rack.alias("rack"),
     )

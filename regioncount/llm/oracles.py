@@ -10,7 +10,9 @@ RECURSIVE crc_bits(b, c, k) AS (
 ),
 crc_table AS (SELECT list(c ORDER BY b) AS t FROM crc_bits WHERE k = 8),
 """
-_DRAW = "-ln((('0x' || substr(md5(coalesce(doc_id::VARCHAR, '') || ':' || s), 1, 13))::BIGINT + 0.5) / 4503599627370496.0)"
+#: Eight hexadecimal digits of an attempt's md5 as a number, and the least exponential draw after all attempts.
+_BITS = "('0x' || substr(h, {}, 8))::BIGINT"
+_DRAW = "-ln((('0x' || substr(md5(coalesce(doc_id::VARCHAR, '') || ':leaf:' || s), 1, 13))::BIGINT + 0.5) / 4503599627370496.0)"
 
 SQL["op1_sharding"] = f"""
 WITH {_CRC}
@@ -22,10 +24,14 @@ crc AS (
     lambda c, x: xor(c >> 8, t[(xor(c, x) & 255) + 1])), 4294967295::BIGINT) AS c
   FROM hexed, crc_table
 ),
-draws AS (SELECT rid, s, {_DRAW} AS e FROM d, range(25) r(s)),
-best AS (
-  SELECT rid, arg_min(s, (e, s)) FILTER (WHERE s < 24) AS shard, arg_min(s, (e, s)) AS grown FROM draws GROUP BY rid
-)
+attempts AS (SELECT rid, k, md5(coalesce(doc_id::VARCHAR, '') || ':' || k) AS h FROM d, range(12) r(k)),
+places AS (
+  SELECT rid, k, (({_BITS.format(1)} * 3) >> 32) * 12 + (({_BITS.format(9)} * 3) >> 32) * 4 + (({_BITS.format(17)} * 4) >> 32) AS place FROM attempts
+),
+taken AS (SELECT rid, arg_min(place, k) FILTER (WHERE place < 24) AS s24, arg_min(place, k) FILTER (WHERE place < 25) AS s25 FROM places GROUP BY rid),
+draws AS (SELECT rid, s, {_DRAW} AS e FROM d JOIN taken USING (rid), range(25) r(s) WHERE s24 IS NULL),
+flat AS (SELECT rid, arg_min(s, (e, s)) FILTER (WHERE s < 24) AS f24, arg_min(s, (e, s)) AS f25 FROM draws GROUP BY rid),
+best AS (SELECT rid, coalesce(s24, f24) AS shard, coalesce(s25, f25) AS grown FROM taken LEFT JOIN flat USING (rid))
 SELECT doc_id, size, c::BIGINT AS text_crc32, 'key' AS law, shard::INTEGER AS shard,
   (row_number() OVER (PARTITION BY shard ORDER BY doc_id NULLS FIRST, c, size) - 1)::BIGINT AS slot,
   grown::INTEGER AS grown_shard, (shard // 12)::INTEGER AS region, (shard // 4)::INTEGER AS rack

@@ -1,8 +1,11 @@
 """Sharding, quality rules and decontamination."""
 
+import hashlib
+import math
 import random
 import zlib
 
+import pytest
 from pyspark.sql import functions as F
 
 from regioncount.llm import op1_sharding as s
@@ -41,9 +44,45 @@ def test_shards_grow_evenly_and_only_into_the_new_one(spark):
 
 def test_weights_move_rows_only_at_the_changed_leaf(spark):
     ids = spark.range(4000).withColumnRenamed("id", "doc_id")
-    a = s.assign(s.assign(ids, s.tree(12), into="a"), s.tree(12, weights={5: 3.0}), into="b")
-    assert a.filter("a <> b and b <> 5").count() == 0
-    assert abs(a.filter("b = 5").count() - 4000 * 3 / 14) < 160
+    for attempts in (0, 1, 12):  # the flat choice alone, mostly, and hardly ever
+        a = s.descend(ids, s._key("doc_id"), {"a": s.tree(12, (1, 3, 4), None, 4.0), "b": s.tree(12, (1, 3, 4), {5: 3.0}, 4.0)}, attempts)
+        assert python_free(a) and a.filter("a <> b and b <> 5").count() == 0
+        assert abs(a.filter("b = 5").count() - 4000 * 3 / 14) < 160
+
+
+def descend_plainly(key, t):
+    """(place, digests made) of a key by loops over levels."""
+    for k in range(s.ATTEMPTS):
+        digest = hashlib.md5(f"{key}:{k}".encode()).hexdigest()
+        bits = [int(digest[8 * i : 8 * i + 8], 16) for i in range(4)]
+        low, high = 0, len(t.weights)
+        for level, width in enumerate((t.racks * t.shards, t.shards, 1)):
+            sizes = [sum(t.capacities[x : x + width]) for x in range(low, high, width)]
+            at = 0
+            while bits[level] * sum(sizes) >= sum(sizes[: at + 1]) * 2**32:
+                at += 1
+            low, high = low + at * width, low + (at + 1) * width
+        if bits[3] < t.weights[low] / t.capacities[low] * 2**32:
+            return low, k + 1
+    return min(((-math.log((int(hashlib.md5(f"{key}:leaf:{x}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52) / w, x) for x, w in enumerate(t.weights) if w))[1], s.ATTEMPTS
+
+
+def test_descent_against_plain_loops(spark):
+    """Uneven capacities and weights at all levels; subtrees get their weight's share, and few digests are made."""
+    rng = random.Random(3)
+    capacities = tuple(float(rng.choice([1, 2, 4, 8])) for _ in range(24))
+    t = s.Tree(2, 3, 4, tuple(0.0 if k % 7 == 3 else c * rng.choice([0.5, 1.0, 0.75]) for k, c in enumerate(capacities)), capacities)
+    ids = spark.range(3000).withColumnRenamed("id", "doc_id")
+    got = {r.doc_id: r.shard for r in s.assign(ids, t).collect()}
+    want = {k: descend_plainly(k, t) for k in got}
+    assert got == {k: v[0] for k, v in want.items()}
+    assert sum(v[1] for v in want.values()) < 2.2 * len(want)
+    for at in range(0, 24, 4):
+        share = sum(t.weights[at : at + 4]) / sum(t.weights)
+        assert abs(sum(at <= v < at + 4 for v in got.values()) / 3000 - share) < 0.04
+    for bad in (lambda: s.tree(40), lambda: s.tree(2, weights={0: 2.0}), lambda: s.tree(0), lambda: s.descend(ids, s._key("doc_id"), {"a": s.tree(3), "b": s.tree(3, (1, 1, 4))})):
+        with pytest.raises(ValueError):
+            bad()
 
 
 def test_slots_over_many_buckets(spark):
