@@ -51,13 +51,17 @@ rep AS (SELECT rid, count(*) AS n FROM pos GROUP BY rid),
 m AS (
   SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(list_sum(list_transform(w, lambda x: length(x))), 0)::BIGINT AS word_chars,
     length(regexp_replace(text, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols,
-    (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines, coalesce(n, 0)::BIGINT AS n_repeat_words, len(l) AS n_lines
+    (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines, coalesce(n, 0)::BIGINT AS n_repeat_words, len(l) AS n_lines,
+    len(list_filter(l, lambda x: regexp_matches(x, '(\.\.\.|\x{{2026}})[\x20\x09-\x0D]*\z'))) AS n_ends,
+    len(list_filter(l, lambda x: regexp_matches(x, '^[\x20\x09-\x0D]*[-*\x{{2022}}]'))) AS n_starts,
+    len(list_filter(w, lambda x: regexp_matches(x, '[A-Za-z\x{{80}}-\x{{10FFFF}}]'))) AS n_letters, len(list_distinct(w)) AS n_distinct
   FROM d JOIN lines USING (rid) LEFT JOIN rep USING (rid)
 )
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
   n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed,
   NOT (n_words < 50 OR 100 * n_repeat_words > 50 * n_words OR n_words > 100000 OR word_chars < 2 * n_words
-    OR word_chars > 15 * n_words OR n_symbols * 10 > n_words OR n_dup_lines * 100 > 30 * n_lines) AS kept
+    OR word_chars > 15 * n_words OR n_symbols * 10 > n_words OR n_dup_lines * 100 > 30 * n_lines
+    OR n_ends * 100 > 30 * n_lines OR n_starts * 100 > 90 * n_lines OR n_letters * 100 < 50 * n_words OR n_distinct * 100 < 10 * n_words) AS kept
 FROM m
 """
 

@@ -118,9 +118,40 @@ def test_cascade_order_does_not_change_the_verdict(spark, sf_dir):
     b = m.select("doc_id", q.cascade(rules[::-1]).isNull().alias("k"))
     assert a.exceptAll(b).count() == 0
     est = q.estimate(docs, rules, 50)
+    assert [x[1:] for x in est] == [x[1:] for x in q.estimate(docs, rules, 50)]
     order = q.ordered(est)
     share = {r.name: x / max(c, 1e-6) for r, c, x in est}
     assert [share[r.name] for r in order] == sorted(share.values(), reverse=True)
+    assert 20 < q.sample_of(docs, 50).count() < 90 and q.sample_of(docs, 10**6).count() == docs.count()
+
+
+def test_rejected_documents_reach_no_later_rule(spark, sf_dir):
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    boom = q.Rule("boom", F.raise_error(F.lit("evaluated")).cast("boolean"), F.lit(10**6))
+    first = q.Rule("all", F.col("n_words") >= 0, F.lit(1))
+    m = q.measures(docs)
+    assert m.filter(q.cascade([first, boom]) == "all").count() == docs.count()
+    # only texts of the few that pass reach the costly rule
+    only = q.Rule("some", F.col("n_words") != F.lit(m.agg(F.max("n_words")).first()[0]), F.lit(1))
+    guarded = q.Rule("guarded", F.when(F.col("n_words") < 60, boom.reject).otherwise(F.lit(True)), F.lit(5))
+    assert {r[0] for r in m.select(q.cascade([only, guarded])).distinct().collect()} == {"some", "guarded"}
+
+
+def test_rules_inside_the_cascade(spark):
+    w = [f"word{k}" for k in range(60)]
+    texts = {
+        "ellipsis_lines": "\n".join(" ".join(w[k : k + 10]) + end for k, end in zip(range(0, 60, 10), ("...", "\u2026 ", "", "", "..", ""), strict=True)),
+        "bullet_lines": "\n".join(f" {mark} " + " ".join(w[k : k + 10]) for k, mark in zip(range(0, 60, 10), "-*\u2022-*-", strict=True)),
+        "few_letters": " ".join([*w[:25], *(str(1000 + k) for k in range(30))]),
+        None: " ".join(w),
+        "few_distinct_words": " ".join(random.Random(2).choice(["aa", "bb", "cc", "dd", "ee", "ff", "gg"]) for _ in range(75)),
+    }
+    docs = spark.createDataFrame([(k, x) for k, x in enumerate(texts.values())], "doc_id long, text string")
+    m = q.measures(docs).filter("doc_id < 5")
+    last = q.rules()[6:]
+    assert [r.c for r in m.select("doc_id", q.cascade(last).alias("c")).orderBy("doc_id").collect()] == list(texts)
+    got = {r.doc_id: r.kept for r in q.judge(docs).collect()}
+    assert got == {0: False, 1: False, 2: False, 3: True, 4: False}
 
 
 def test_decontamination(spark, messy, no_documents):
