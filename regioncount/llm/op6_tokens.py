@@ -5,6 +5,10 @@ number of characters and of tokens, and inner nodes hold sums. An edit is found
 and one leaf on each side (the boundary context: no token reaches across white space) are encoded again, and the sums
 above them are updated. Leaves merged by an edit become one leaf, the others empty, so the tree keeps its shape.
 
+`build` makes the table of trees: per document the leaves' texts, characters and tokens (inner nodes are sums of them,
+made when a tree is read). `recount` reads that table and the edits, encodes the touched leaves only, and gives the
+trees after the edits beside the counts, so that a later round of edits starts from them and no text is encoded twice.
+
 Defined cases: null text is the empty text; edits outside the text are clipped to it; null replacement is the empty
 string; edits apply in order, each to the text that the ones before left; a document without edits keeps its count;
 repeated rows are counted one by one; extra columns are ignored; an empty table gives an empty result.
@@ -27,16 +31,19 @@ LEAF = 8
 
 
 class TokenTree:
-    """Counts of one document; `count` gives the tokens of a string without white space inside tokens."""
+    """Counts of one document; `count` gives the tokens of a string without white space inside tokens.
+
+    With `tokens`, the counts of the leaves are known and nothing is encoded.
+    """
 
-    def __init__(self, text: str, count, split):
+    def __init__(self, leaves: list[str], count, tokens: list[int] | None = None):
         self.count = count
-        self.leaves: list[str] = split(text)
+        self.leaves = leaves
         self.size = 1 << max(0, (len(self.leaves) - 1).bit_length())
         n = self.size
         self.chars, self.tokens = [0] * (2 * n), [0] * (2 * n)
         for k, leaf in enumerate(self.leaves):
-            self.chars[n + k], self.tokens[n + k] = len(leaf), count(leaf)
+            self.chars[n + k], self.tokens[n + k] = len(leaf), count(leaf) if tokens is None else tokens[k]
         for k in range(n - 1, 0, -1):
             self.chars[k] = self.chars[2 * k] + self.chars[2 * k + 1]
             self.tokens[k] = self.tokens[2 * k] + self.tokens[2 * k + 1]
@@ -108,46 +115,87 @@ class TokenTree:
         return "".join(self.leaves)
 
 
-def recount(docs: DataFrame, path: str | None = None) -> DataFrame:
-    """(doc_id, n_before, n_tokens, n_edits, n_leaves, n_encoded) of every document.
+def _counter(enc):
+    """Tokens of a text, with a bounded memory of its chunks."""
+    seen = Recent(lambda chunk: len(enc.chunk_ids(chunk)), 3 * CACHE_ENTRIES)
+    get, miss = seen.get, seen.miss
+    return lambda piece: sum([get(c) or miss(c) for c in enc.split(piece)])
 
-    `edits` is an array of (start, end, replacement) in code points.
-    """
+
+def leaf_splitter():
+    """Function that cuts a text into leaves of LEAF chunks."""
+    import regex
+
+    return regex.compile(rf"\s*+(?:\S++\s*+){{1,{LEAF}}}+|\s++").findall
+
+
+def _lists(values: list, kind: pa.DataType) -> pa.ListArray:
+    offsets = [0]
+    for v in values:
+        offsets.append(offsets[-1] + len(v))
+    return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array([x for v in values for x in v], kind))
+
+
+def build(docs: DataFrame, path: str | None = None) -> DataFrame:
+    """The trees (doc_id, leaves, tokens) of every whole text: leaf texts and their token counts, in text order."""
     shared = docs.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
-    docs = docs.select("doc_id", "text", "edits")
+    docs = docs.select("doc_id", "text")
     kind = docs.schema["doc_id"].dataType.simpleString()
-    names = ["n_before", "n_tokens", "n_edits", "n_leaves", "n_encoded"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import regex
+        enc, split = shared.value.encoder(), leaf_splitter()
+        count = _counter(enc)
+        for batch in slices(batches):
+            leaves = [split(x.as_py() or "") for x in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), _lists(leaves, pa.string()), _lists([[count(x) for x in v] for v in leaves], pa.int32())], names=["doc_id", "leaves", "tokens"])
+        enc.forget()
 
-        enc = shared.value.encoder()
-        leaf = regex.compile(rf"\s*+(?:\S++\s*+){{1,{LEAF}}}+|\s++").findall
-        seen = Recent(lambda chunk: len(enc.chunk_ids(chunk)), 3 * CACHE_ENTRIES)
-        get, miss = seen.get, seen.miss
+    return docs.mapInArrow(run, f"doc_id {kind}, leaves array<string>, tokens array<int>")
 
-        def count(piece: str) -> int:
-            return sum([get(c) or miss(c) for c in enc.split(piece)])
 
+def recount(trees: DataFrame, path: str | None = None, keep_trees: bool = True) -> DataFrame:
+    """(doc_id, n_before, n_tokens, n_edits, n_leaves, n_encoded) of every tree, and the trees after the edits.
+
+    `edits`, beside the columns of `build`, is an array of (start, end, replacement) in code points. Only touched
+    leaves are encoded (n_encoded of them); without `keep_trees` the columns leaves and tokens stay away.
+    """
+    shared = trees.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
+    trees = trees.select("doc_id", "leaves", "tokens", "edits")
+    kind = trees.schema["doc_id"].dataType.simpleString()
+    names = ["n_before", "n_tokens", "n_edits", "n_leaves", "n_encoded"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enc = shared.value.encoder()
+        count = _counter(enc)
         for batch in slices(batches):
-            out = []
-            for text, edits in zip(batch.column(1), batch.column(2), strict=True):
-                tree = TokenTree(text.as_py() or "", count, leaf)
+            out, leaves, tokens = [], [], []
+            for texts, counts, edits in zip(*(batch.column(k) for k in (1, 2, 3)), strict=True):
+                tree = TokenTree(texts.as_py() or [], count, counts.as_py())
                 before = tree.total
                 edits = edits.as_py() or []
                 for e in edits:
                     tree.edit(e["start"], e["end"], e["replacement"] or "")
+                if keep_trees:
+                    leaves.append([x for x in tree.leaves if x])
+                    tokens.append([n for x, n in zip(tree.leaves, tree.tokens[tree.size :], strict=False) if x])
                 out.append((before, tree.total, len(edits), len(tree.leaves) if tree.length else 0, tree.encoded))
             columns = zip(*out, strict=True) if out else [[] for _ in names]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, pa.int64()) for c in columns]], names=["doc_id", *names])
+            arrays = [batch.column(0), *[pa.array(c, pa.int64()) for c in columns]]
+            held = [_lists(leaves, pa.string()), _lists(tokens, pa.int32())] if keep_trees else []
+            yield pa.RecordBatch.from_arrays([*arrays, *held], names=["doc_id", *names, *(["leaves", "tokens"] if keep_trees else [])])
         enc.forget()
 
-    return docs.mapInArrow(run, f"doc_id {kind}, " + ", ".join(f"{n} long" for n in names))
+    return trees.mapInArrow(run, f"doc_id {kind}, " + ", ".join(f"{n} long" for n in names) + (", leaves array<string>, tokens array<int>" if keep_trees else ""))
+
+
+def tree_chars(leaves: Column) -> Column:
+    """Code points of a tree's text."""
+    return F.aggregate(leaves, F.lit(0), lambda a, x: a + F.char_length(x))
 
 
-def sample_edits(text: Column) -> Column:
-    """Three edits that follow from the text's length: a replacement, an insertion inside a word, a deletion."""
-    n = F.char_length(F.coalesce(text, F.lit("")))
+def sample_edits(chars: Column) -> Column:
+    """Three edits that follow from the number of characters: a replacement, an insertion inside a word, a deletion."""
+    n = F.coalesce(chars, F.lit(0))
     one = lambda a, b, r: F.struct(a.cast("int").alias("start"), b.cast("int").alias("end"), F.lit(r).alias("replacement"))
     third, half = F.floor(n / 3), F.floor(n / 2)
     return F.array(one(third, third + 7, " edited span 42 "), one(half, half, "x"), one(2 * third, 2 * third + 5, ""))

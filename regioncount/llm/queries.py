@@ -3,14 +3,14 @@
 from __future__ import annotations
 
 from regioncount.llm import oracles
-from regioncount.llm.common import table
+from regioncount.llm.common import Scratch, table
 from regioncount.llm.op10_pii import find
 from regioncount.llm.op1_sharding import shard_documents
 from regioncount.llm.op2_url import judge
 from regioncount.llm.op3_toxicity import score_documents
 from regioncount.llm.op4_jaccard import components_of
 from regioncount.llm.op5_bpe import digests
-from regioncount.llm.op6_tokens import recount, sample_edits
+from regioncount.llm.op6_tokens import build, recount, sample_edits, tree_chars
 from regioncount.llm.op7_quality import quality
 from regioncount.llm.op8_html import extract
 from regioncount.llm.op9_decontamination import contained
@@ -37,8 +37,8 @@ def op5_bpe(spark, sf_dir):
 
 
 def op6_tokens(spark, sf_dir):
-    docs = table(spark, sf_dir, "documents")
-    return recount(docs.withColumn("edits", sample_edits(docs["text"])))
+    trees = Scratch(spark).save(build(table(spark, sf_dir, "documents")), "trees")
+    return recount(trees.withColumn("edits", sample_edits(tree_chars(trees["leaves"]))), keep_trees=False)
 
 
 def op7_quality(spark, sf_dir):

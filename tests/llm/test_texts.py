@@ -275,7 +275,7 @@ def test_counts_after_edits(enc):
     rng = random.Random(2)
     for _ in range(300):
         text = "".join(rng.choice("abc  \n'sé.9<|endoftext|>") for _ in range(rng.randint(0, 90)))
-        tree = k.TokenTree(text, count, leaf)
+        tree = k.TokenTree(leaf(text), count)
         for _ in range(8):
             a = rng.randint(-2, len(text) + 2)
             c = rng.randint(a, a + 9)
@@ -287,26 +287,53 @@ def test_counts_after_edits(enc):
 
 
 def test_edits_touch_few_leaves(enc):
-    import regex
-
-    leaf = regex.compile(rf"\s*+(?:\S++\s*+){{1,{k.LEAF}}}+|\s++").findall
-    tree = k.TokenTree("some words here " * 5000, lambda p: sum(enc.cache(c)[0] for c in enc.split(p)), leaf)
+    tree = k.TokenTree(k.leaf_splitter()("some words here " * 5000), lambda p: sum(enc.cache(c)[0] for c in enc.split(p)))
     tree.edit(40_000, 40_005, "new")
     assert tree.encoded <= 4 and len(tree.leaves) > 1800
 
 
+def edited(text, edits):
+    for e in edits:
+        a = min(max(0, e.start), len(text))
+        text = text[:a] + (e.replacement or "") + text[min(max(a, e.end), len(text)) :]
+    return text
+
+
 def test_recount_table(spark, messy, no_documents, enc):
-    docs = messy.withColumn("edits", k.sample_edits(messy["text"]))
-    rows = {(r.doc_id, r.n_before, r.n_tokens) for r in k.recount(docs).collect()}
+    trees = k.build(messy)
+    trees = trees.withColumn("edits", k.sample_edits(k.tree_chars(trees["leaves"])))
+    done = k.recount(trees)
+    rows = {(r.doc_id, r.n_before, r.n_tokens, "".join(r.leaves)) for r in done.collect()}
+    edits = {"".join(r.leaves): r.edits for r in trees.collect()}
     want = set()
-    for r in docs.collect():
+    for r in messy.collect():
         text = r.text or ""
-        before = len(enc.encode(text))
-        for e in r.edits:
-            a = min(max(0, e.start), len(text))
-            text = text[:a] + e.replacement + text[min(max(a, e.end), len(text)) :]
-        want.add((r.doc_id, before, len(enc.encode(text))))
-    assert rows == want and k.recount(no_documents.withColumn("edits", k.sample_edits(no_documents["text"]))).count() == 0
+        after = edited(text, edits[text])
+        want.add((r.doc_id, len(enc.encode(text)), len(enc.encode(after)), after))
+    assert rows == want
+    # a second round starts from the trees of the first
+    again = k.recount(done.withColumn("edits", k.sample_edits(k.tree_chars(done["leaves"]))))
+    for r in again.collect():
+        assert r.n_tokens == sum(r.tokens) == len(enc.encode("".join(r.leaves)))
+    assert {(r.doc_id, r.n_before) for r in again.collect()} == {(i, n) for i, _, n, _ in rows}
+    none = k.build(no_documents)
+    assert k.recount(none.withColumn("edits", k.sample_edits(k.tree_chars(none["leaves"])))).count() == 0
+
+
+def test_stored_counts_are_not_encoded_again(enc):
+    text = "some words here " * 5000
+    leaves = k.leaf_splitter()(text)
+    plain = lambda p: sum(enc.cache(c)[0] for c in enc.split(p))
+    seen = []
+
+    def count(piece):
+        seen.append(piece)
+        return plain(piece)
+
+    tree = k.TokenTree(leaves, count, [plain(x) for x in leaves])
+    assert not seen and tree.total == len(enc.encode(text))
+    tree.edit(40_000, 40_005, "new")
+    assert len(seen) <= 2 and sum(map(len, seen)) < 400 and tree.total == len(enc.encode(text[:40_000] + "new" + text[40_005:]))
 
 
 def test_pipeline_stages_against_brute_force(spark, sf_dir):
