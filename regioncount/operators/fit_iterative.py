@@ -39,11 +39,20 @@ def violations(x: np.ndarray, tolerance: float = 0.0) -> int:
     return sum(int((x[lo] - x[up] > tolerance).sum()) for lo, up in _cuts(("C1", "C2"))) + int((_blocks(x) < -tolerance).sum())
 
 
-def repair(x: np.ndarray) -> np.ndarray:
-    """Lower edges to their faces, then vertices to their edges."""
+def repair(x: np.ndarray, classes=("C1", "C2", "C3")) -> np.ndarray:
+    """A lattice that meets these classes: edges lowered to their faces, then vertices to their edges; then, where a
+    block is still below 0, its vertex is raised, or, if vertices are bound by their edges, one of its faces.
+
+    C1 and C2 together imply C3. Without C2 no class bounds a vertex from above, and without C1 none a face.
+    """
     x = np.maximum(x, 0)
-    for lo, up in sorted(_cuts(("C1", "C2")), key=lambda c: c[0] == (_ODD, _ODD)):
+    for lo, up in sorted(_cuts(classes), key=lambda c: c[0] == (_ODD, _ODD)):
         x[lo] = np.minimum(x[lo], x[up])
+    if "C3" in classes and not {"C1", "C2"} <= set(classes):
+        raised = (slice(0, -2, 2),) * 2 if "C2" in classes else (_ODD, _ODD)
+        while (short := -_blocks(x)).max(initial=0) > 0:
+            # a little more than what is missing, so that rounding leaves nothing
+            x[raised] += np.where(short > 0, short * (1 + 1e-12) + 1e-12, 0)
     return x
 
 
@@ -64,7 +73,7 @@ def l1(y: np.ndarray, steps: int = 2000, classes=("C1", "C2", "C3"), prior: floa
     cuts = _cuts(classes)
     use_blocks = "C3" in classes and not {"C1", "C2"} <= set(classes)
     full = {"C1", "C2"} <= set(classes)
-    x = repair(y.copy()) if full else np.maximum(y, 0)
+    x = repair(y.copy(), classes)
     bar, z = x.copy(), [np.zeros(x[lo].shape) for lo, _ in cuts]
     zb = np.zeros((y.shape[0] // 2, y.shape[1] // 2))
     sigma = 0.99 / (tau * (8 + 9 * use_blocks))
@@ -81,7 +90,7 @@ def l1(y: np.ndarray, steps: int = 2000, classes=("C1", "C2", "C3"), prior: floa
         new = np.maximum(_nearest(x - tau * back, y, tau, prior, weight), 0)
         bar, x = 2 * new - x, new
         if step % 100 == 0 or step == steps:
-            feasible = repair(x.copy()) if full else x
+            feasible = repair(x.copy(), classes)
             value = np.abs(feasible - y).sum() + (weight * np.abs(feasible - prior).sum() if weight else 0.0)
             if value < best_value:
                 best, best_value = feasible, value

@@ -195,3 +195,16 @@ def test_exact_counts_are_not_published(spark, tmp_path):
         publish(h, str(tmp_path / "x"), "exact")
     publish(h.withColumn("release_id", F.lit("a")), str(tmp_path / "y"), "round")
     assert spark.read.parquet(str(tmp_path / "y")).count() == 49
+
+
+@pytest.mark.parametrize("classes", [("C1",), ("C2",), ("C3",), ("C1", "C3"), ("C2", "C3"), ("C1", "C2")])
+def test_fits_under_some_classes_are_feasible(classes):
+    """Each class that is asked for holds, also for iterates cut off early; fewer classes cost no more than all."""
+    rng = np.random.default_rng(7)
+    for k in range(8):
+        y = rng.normal(2, 6, (9, 9)) if k % 2 else np.rint(rng.laplace(0, 9, (7, 7)))
+        for steps in (1, 30, 3000):
+            x = fit_iterative.l1(y, steps, classes=classes)[0]
+            assert x.min() >= 0 and all((x[lo] <= x[up]).all() for lo, up in fit_iterative._cuts(classes))
+            assert "C3" not in classes or fit_iterative._blocks(x).min() >= 0
+        assert np.abs(x - y).sum() <= np.abs(fit_iterative.l1(y, 3000)[0] - y).sum() * 1.001
