@@ -5,8 +5,8 @@ number of characters and of tokens, and inner nodes hold sums. An edit is found
 and one leaf on each side (the boundary context: no token reaches across white space) are encoded again, and the sums
 above them are updated. Leaves merged by an edit become one leaf, the others empty, so the tree keeps its shape.
 
-`build` makes the table of trees: per document the leaves' texts, characters and tokens (inner nodes are sums of them,
-made when a tree is read). `recount` reads that table and the edits, encodes the touched leaves only, and gives the
+`build` makes the table of trees: per document the text and its leaves' characters and tokens (inner nodes are sums of
+them, made when a tree is read). `recount` reads that table and the edits, encodes the touched leaves only, and gives the
 trees after the edits beside the counts, so that a later round of edits starts from them and no text is encoded twice.
 
 Defined cases: null text is the empty text; edits outside the text are clipped to it; null replacement is the empty
@@ -18,6 +18,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -31,25 +32,32 @@ LEAF = 8
 
 
 class TokenTree:
-    """Counts of one document; `count` gives the tokens of a string without white space inside tokens.
+    """Counts of one document, made of its leaves' known numbers of characters and tokens; nothing is encoded.
 
-    With `tokens`, the counts of the leaves are known and nothing is encoded.
+    `count` gives the tokens of a string without white space inside tokens; edits call it for what they touch.
     """
 
-    def __init__(self, leaves: list[str], count, tokens: list[int] | None = None):
-        self.count = count
-        self.leaves = leaves
-        self.size = 1 << max(0, (len(self.leaves) - 1).bit_length())
-        n = self.size
-        self.chars, self.tokens = [0] * (2 * n), [0] * (2 * n)
-        for k, leaf in enumerate(self.leaves):
-            self.chars[n + k], self.tokens[n + k] = len(leaf), count(leaf) if tokens is None else tokens[k]
-        for k in range(n - 1, 0, -1):
-            self.chars[k] = self.chars[2 * k] + self.chars[2 * k + 1]
-            self.tokens[k] = self.tokens[2 * k] + self.tokens[2 * k + 1]
-        if not self.leaves:
-            self.leaves = [""]
-        self.encoded = 0
+    def __init__(self, text: str, chars, tokens, count):
+        self.count, self.original, self.encoded = count, text, 0
+        self.n_leaves = max(1, len(chars))
+        self.begin = [0, *np.cumsum(chars).tolist()] if len(chars) else [0, 0]
+        self.changed: dict[int, str] = {}
+        self.size = 1 << (self.n_leaves - 1).bit_length()
+        self.chars, self.tokens = self._sums(chars), self._sums(tokens)
+
+    def _sums(self, values) -> list[int]:
+        """The tree as a list: node k above nodes 2 k and 2 k + 1, leaves from `size` on."""
+        out = np.zeros(2 * self.size, np.int64)
+        out[self.size : self.size + len(values)] = values
+        at = self.size
+        while at > 1:
+            out[at // 2 : at] = out[at : 2 * at : 2] + out[at + 1 : 2 * at : 2]
+            at //= 2
+        return out.tolist()
+
+    def leaf(self, k: int) -> str:
+        found = self.changed.get(k)
+        return self.original[self.begin[k] : self.begin[k + 1]] if found is None else found
 
     @property
     def total(self) -> int:
@@ -70,7 +78,7 @@ class TokenTree:
         return k - self.size, at
 
     def _set(self, leaf: int, text: str) -> None:
-        self.leaves[leaf] = text
+        self.changed[leaf] = text
         k = self.size + leaf
         self.chars[k], self.tokens[k] = len(text), self.count(text) if text else 0
         while k > 1:
@@ -103,8 +111,8 @@ class TokenTree:
         stop = self.before(last) + self.chars[self.size + last]
         if stop < self.length:
             last = self.find(stop)[0]
-        touched = [k for k in range(first, last + 1) if self.leaves[k]]
-        text = "".join(self.leaves[k] for k in touched)
+        touched = [k for k in range(first, last + 1) if self.chars[self.size + k]]
+        text = "".join(map(self.leaf, touched))
         self.encoded += len(touched)
         for k in touched:
             if k != first:
@@ -112,14 +120,11 @@ class TokenTree:
         self._set(first, text[: start - begin] + replacement + text[end - begin :])
 
     def text(self) -> str:
-        return "".join(self.leaves)
-
-
-def _counter(enc):
-    """Tokens of a text, with a bounded memory of its chunks."""
-    seen = Recent(lambda chunk: len(enc.chunk_ids(chunk)), 3 * CACHE_ENTRIES)
-    get, miss = seen.get, seen.miss
-    return lambda piece: sum([get(c) or miss(c) for c in enc.split(piece)])
+        out, at = [], 0
+        for k in sorted(self.changed):
+            out += [self.original[at : self.begin[k]], self.changed[k]]
+            at = self.begin[k + 1]
+        return "".join([*out, self.original[at:]])
 
 
 def leaf_splitter():
@@ -129,73 +134,94 @@ def leaf_splitter():
     return regex.compile(rf"\s*+(?:\S++\s*+){{1,{LEAF}}}+|\s++").findall
 
 
-def _lists(values: list, kind: pa.DataType) -> pa.ListArray:
-    offsets = [0]
-    for v in values:
-        offsets.append(offsets[-1] + len(v))
-    return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array([x for v in values for x in v], kind))
+class Counter:
+    """Tokens of texts, with a bounded memory of their chunks."""
+
+    def __init__(self, enc):
+        self.split, self.cut = enc.split, leaf_splitter()
+        self.seen = Recent(lambda chunk: len(enc.chunk_ids(chunk)), 3 * CACHE_ENTRIES)
+
+    def chunks(self, text: str) -> list[int]:
+        get, miss = self.seen.get, self.seen.miss
+        return [get(c) or miss(c) for c in self.split(text)]
+
+    def count(self, text: str) -> int:
+        return sum(self.chunks(text))
+
+    def leaves(self, text: str) -> tuple[list[int], list[int]]:
+        """Characters and tokens of each leaf; a text of white space alone is one leaf without tokens."""
+        n = self.chunks(text)
+        chars = list(map(len, self.cut(text)))
+        return chars, [sum(n[k : k + LEAF]) for k in range(0, len(n), LEAF)] or [0] * len(chars)
+
+
+def _lists(values: list) -> pa.ListArray:
+    offsets = np.cumsum([0, *map(len, values)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array([x for v in values for x in v], pa.int32()))
+
+
+def _rows(column: pa.ListArray) -> list[np.ndarray]:
+    """The lists of a column; null counts as empty."""
+    flat, sizes = column.flatten().to_numpy(zero_copy_only=False), column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+    return np.split(flat, np.cumsum(sizes)[:-1]) if len(sizes) else []
 
 
 def build(docs: DataFrame, path: str | None = None) -> DataFrame:
-    """The trees (doc_id, leaves, tokens) of every whole text: leaf texts and their token counts, in text order."""
+    """The trees (doc_id, text, chars, tokens) of every whole text: characters and tokens of its leaves, in text order."""
     shared = docs.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
-    docs = docs.select("doc_id", "text")
+    docs = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, split = shared.value.encoder(), leaf_splitter()
-        count = _counter(enc)
+        enc = shared.value.encoder()
+        counter = Counter(enc)
         for batch in slices(batches):
-            leaves = [split(x.as_py() or "") for x in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), _lists(leaves, pa.string()), _lists([[count(x) for x in v] for v in leaves], pa.int32())], names=["doc_id", "leaves", "tokens"])
+            found = [counter.leaves(x.as_py()) for x in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), _lists([x[0] for x in found]), _lists([x[1] for x in found])], names=["doc_id", "text", "chars", "tokens"])
         enc.forget()
 
-    return docs.mapInArrow(run, f"doc_id {kind}, leaves array<string>, tokens array<int>")
+    return docs.mapInArrow(run, f"doc_id {kind}, text string, chars array<int>, tokens array<int>")
 
 
 def recount(trees: DataFrame, path: str | None = None, keep_trees: bool = True) -> DataFrame:
     """(doc_id, n_before, n_tokens, n_edits, n_leaves, n_encoded) of every tree, and the trees after the edits.
 
     `edits`, beside the columns of `build`, is an array of (start, end, replacement) in code points. Only touched
-    leaves are encoded (n_encoded of them); without `keep_trees` the columns leaves and tokens stay away.
+    leaves are encoded (n_encoded of them); without `keep_trees` the columns text, chars and tokens stay away.
     """
     shared = trees.sparkSession.sparkContext.broadcast(Vocabulary(path or encoder_path()))
-    trees = trees.select("doc_id", "leaves", "tokens", "edits")
+    trees = trees.select("doc_id", "text", "chars", "tokens", "edits")
     kind = trees.schema["doc_id"].dataType.simpleString()
     names = ["n_before", "n_tokens", "n_edits", "n_leaves", "n_encoded"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = shared.value.encoder()
-        count = _counter(enc)
+        count = Counter(enc).count
         for batch in slices(batches):
-            out, leaves, tokens = [], [], []
-            for texts, counts, edits in zip(*(batch.column(k) for k in (1, 2, 3)), strict=True):
-                tree = TokenTree(texts.as_py() or [], count, counts.as_py())
+            out, texts, chars, tokens = [], [], [], []
+            for text, c, n, edits in zip(batch.column(1), _rows(batch.column(2)), _rows(batch.column(3)), batch.column(4).to_pylist(), strict=True):
+                tree = TokenTree(text.as_py() or "", c, n, count)
                 before = tree.total
-                edits = edits.as_py() or []
-                for e in edits:
+                for e in edits or []:
                     tree.edit(e["start"], e["end"], e["replacement"] or "")
                 if keep_trees:
-                    leaves.append([x for x in tree.leaves if x])
-                    tokens.append([n for x, n in zip(tree.leaves, tree.tokens[tree.size :], strict=False) if x])
-                out.append((before, tree.total, len(edits), len(tree.leaves) if tree.length else 0, tree.encoded))
+                    leaves = [(x, y) for x, y in zip(tree.chars[tree.size :], tree.tokens[tree.size :], strict=True) if x]
+                    texts.append(tree.text())
+                    chars.append([x for x, _ in leaves])
+                    tokens.append([y for _, y in leaves])
+                out.append((before, tree.total, len(edits or []), tree.n_leaves if tree.length else 0, tree.encoded))
             columns = zip(*out, strict=True) if out else [[] for _ in names]
             arrays = [batch.column(0), *[pa.array(c, pa.int64()) for c in columns]]
-            held = [_lists(leaves, pa.string()), _lists(tokens, pa.int32())] if keep_trees else []
-            yield pa.RecordBatch.from_arrays([*arrays, *held], names=["doc_id", *names, *(["leaves", "tokens"] if keep_trees else [])])
+            held = [pa.array(texts, pa.string()), _lists(chars), _lists(tokens)] if keep_trees else []
+            yield pa.RecordBatch.from_arrays([*arrays, *held], names=["doc_id", *names, *(["text", "chars", "tokens"] if keep_trees else [])])
         enc.forget()
 
-    return trees.mapInArrow(run, f"doc_id {kind}, " + ", ".join(f"{n} long" for n in names) + (", leaves array<string>, tokens array<int>" if keep_trees else ""))
-
-
-def tree_chars(leaves: Column) -> Column:
-    """Code points of a tree's text."""
-    return F.aggregate(leaves, F.lit(0), lambda a, x: a + F.char_length(x))
+    return trees.mapInArrow(run, f"doc_id {kind}, " + ", ".join(f"{n} long" for n in names) + (", text string, chars array<int>, tokens array<int>" if keep_trees else ""))
 
 
-def sample_edits(chars: Column) -> Column:
-    """Three edits that follow from the number of characters: a replacement, an insertion inside a word, a deletion."""
-    n = F.coalesce(chars, F.lit(0))
+def sample_edits(text: Column) -> Column:
+    """Three edits that follow from the text's length: a replacement, an insertion inside a word, a deletion."""
+    n = F.char_length(F.coalesce(text, F.lit("")))
     one = lambda a, b, r: F.struct(a.cast("int").alias("start"), b.cast("int").alias("end"), F.lit(r).alias("replacement"))
     third, half = F.floor(n / 3), F.floor(n / 2)
     return F.array(one(third, third + 7, " edited span 42 "), one(half, half, "x"), one(2 * third, 2 * third + 5, ""))

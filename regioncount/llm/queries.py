@@ -10,7 +10,7 @@ from regioncount.llm.op2_url import judge
 from regioncount.llm.op3_toxicity import score_documents
 from regioncount.llm.op4_jaccard import components_of
 from regioncount.llm.op5_bpe import digests
-from regioncount.llm.op6_tokens import build, recount, sample_edits, tree_chars
+from regioncount.llm.op6_tokens import build, recount, sample_edits
 from regioncount.llm.op7_quality import quality
 from regioncount.llm.op8_html import extract
 from regioncount.llm.op9_decontamination import contained
@@ -38,7 +38,7 @@ def op5_bpe(spark, sf_dir):
 
 def op6_tokens(spark, sf_dir):
     trees = Scratch(spark).save(build(table(spark, sf_dir, "documents")), "trees")
-    return recount(trees.withColumn("edits", sample_edits(tree_chars(trees["leaves"]))), keep_trees=False)
+    return recount(trees.withColumn("edits", sample_edits(trees["text"])), keep_trees=False)
 
 
 def op7_quality(spark, sf_dir):

@@ -275,7 +275,7 @@ def test_counts_after_edits(enc):
     rng = random.Random(2)
     for _ in range(300):
         text = "".join(rng.choice("abc  \n'sé.9<|endoftext|>") for _ in range(rng.randint(0, 90)))
-        tree = k.TokenTree(leaf(text), count)
+        tree = k.TokenTree(text, [len(x) for x in leaf(text)], [count(x) for x in leaf(text)], count)
         for _ in range(8):
             a = rng.randint(-2, len(text) + 2)
             c = rng.randint(a, a + 9)
@@ -287,9 +287,10 @@ def test_counts_after_edits(enc):
 
 
 def test_edits_touch_few_leaves(enc):
-    tree = k.TokenTree(k.leaf_splitter()("some words here " * 5000), lambda p: sum(enc.cache(c)[0] for c in enc.split(p)))
+    counter, text = k.Counter(enc), "some words here " * 5000
+    tree = k.TokenTree(text, *counter.leaves(text), counter.count)
     tree.edit(40_000, 40_005, "new")
-    assert tree.encoded <= 4 and len(tree.leaves) > 1800
+    assert tree.encoded <= 4 and tree.n_leaves > 1800
 
 
 def edited(text, edits):
@@ -301,10 +302,10 @@ def edited(text, edits):
 
 def test_recount_table(spark, messy, no_documents, enc):
     trees = k.build(messy)
-    trees = trees.withColumn("edits", k.sample_edits(k.tree_chars(trees["leaves"])))
+    trees = trees.withColumn("edits", k.sample_edits(trees["text"]))
     done = k.recount(trees)
-    rows = {(r.doc_id, r.n_before, r.n_tokens, "".join(r.leaves)) for r in done.collect()}
-    edits = {"".join(r.leaves): r.edits for r in trees.collect()}
+    rows = {(r.doc_id, r.n_before, r.n_tokens, r.text) for r in done.collect()}
+    edits = {r.text: r.edits for r in trees.collect()}
     want = set()
     for r in messy.collect():
         text = r.text or ""
@@ -312,25 +313,23 @@ def test_recount_table(spark, messy, no_documents, enc):
         want.add((r.doc_id, len(enc.encode(text)), len(enc.encode(after)), after))
     assert rows == want
     # a second round starts from the trees of the first
-    again = k.recount(done.withColumn("edits", k.sample_edits(k.tree_chars(done["leaves"]))))
+    again = k.recount(done.withColumn("edits", k.sample_edits(done["text"])))
     for r in again.collect():
-        assert r.n_tokens == sum(r.tokens) == len(enc.encode("".join(r.leaves)))
+        assert r.n_tokens == sum(r.tokens) == len(enc.encode(r.text)) and sum(r.chars) == len(r.text)
     assert {(r.doc_id, r.n_before) for r in again.collect()} == {(i, n) for i, _, n, _ in rows}
     none = k.build(no_documents)
-    assert k.recount(none.withColumn("edits", k.sample_edits(k.tree_chars(none["leaves"])))).count() == 0
+    assert k.recount(none.withColumn("edits", k.sample_edits(none["text"]))).count() == 0
 
 
 def test_stored_counts_are_not_encoded_again(enc):
-    text = "some words here " * 5000
-    leaves = k.leaf_splitter()(text)
-    plain = lambda p: sum(enc.cache(c)[0] for c in enc.split(p))
-    seen = []
+    text, counter, seen = "some words here " * 5000, k.Counter(enc), []
 
     def count(piece):
         seen.append(piece)
-        return plain(piece)
+        return counter.count(piece)
 
-    tree = k.TokenTree(leaves, count, [plain(x) for x in leaves])
+    assert [k.Counter(enc).leaves(x) for x in ("", " \n ")] == [([], []), ([3], [0])]
+    tree = k.TokenTree(text, *counter.leaves(text), count)
     assert not seen and tree.total == len(enc.encode(text))
     tree.edit(40_000, 40_005, "new")
     assert len(seen) <= 2 and sum(map(len, seen)) < 400 and tree.total == len(enc.encode(text[:40_000] + "new" + text[40_005:]))
