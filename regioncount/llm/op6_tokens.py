@@ -28,7 +28,7 @@ from regioncount.llm.op5_bpe import CACHE_ENTRIES, Vocabulary, encoder_path
 
 
 #: Chunks of a leaf.
-LEAF = 8
+LEAF = 2
 
 
 class TokenTree:
