@@ -232,6 +232,29 @@ def test_random_strings_of_all_scripts_as_the_library(enc, library):
         assert got == want.ids and enc.decode(got) == library.decode(want.ids, skip_special_tokens=False), text.encode("unicode_escape")
 
 
+def test_words_and_chunks_by_the_short_ways(enc, library):
+    """Chunks of Latin letters are split as by the file's steps; words of tokens in a row go back from dead prefixes."""
+    rng = random.Random(7)
+    letters = [c for c in map(chr, range(0xC0, 0x180)) if enc.latin(c)] + list("aZ'9s.-#%")
+    for _ in range(3000):
+        chunk = "".join(rng.choice(letters) for _ in range(rng.randint(1, 8)))
+        assert enc.chunk_words(chunk) == enc.split_words(chunk)
+    assert len(letters) > 150 and not enc.latin("\u0130") and not enc.latin("a b")
+    plain = [t.removesuffix("</w>") for t in enc.vocab if t.removesuffix("</w>").isascii() and t.removesuffix("</w>").isalpha() and t == t.lower()]
+    words = ["".join(rng.choice(plain) for _ in range(rng.randint(1, 9))) for _ in range(3000)] + ["ab" * 9999, "thethe" * 3000]
+    for word in words:
+        assert enc.word_ids(word) == library.encode(word, add_special_tokens=False).ids
+
+
+def test_encode_keeps_few_chunks(enc):
+    found = enc.remember(lambda ids: bytes(len(ids)), b"".join, b.FEW_ENTRIES)
+    for k in range(3 * b.FEW_ENTRIES):
+        found(f"w{k}")
+    assert len(found.young) + len(found.old) <= 2 * b.FEW_ENTRIES
+    enc.forget()
+    assert not found.young and not found.old and len(enc.memories) == 2
+
+
 def test_compatible_pairs_stay_themselves(enc):
     """Tokens side by side that fit encode to themselves; checked by merging step by step."""
     rank = {(x, y): r for r, (x, y) in enumerate(enc.merges)}
