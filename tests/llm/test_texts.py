@@ -391,3 +391,20 @@ def test_pipeline_runs(spark, sf_dir):
 
     out = c.run(spark, sf_dir)
     assert out.columns == ["doc_id", "lang", "source", "n_tokens", "ids"] and out.count() > 100
+
+
+def test_written_tables_leave_no_shuffle_files(spark):
+    """Files of a written table's shuffles go without waiting for the driver's own garbage."""
+    import time
+
+    tracker = spark._jvm.org.apache.spark.SparkEnv.get().mapOutputTracker()
+    spark._jvm.System.gc()
+    time.sleep(3)
+    before, scratch = tracker.shuffleStatuses().size(), Scratch(spark)
+    for k in range(12):
+        scratch.save(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).agg(F.sum("id").alias(f"s{k}")), "sums")
+    until = time.time() + 20
+    while tracker.shuffleStatuses().size() > before + 2 and time.time() < until:
+        time.sleep(0.2)
+    assert tracker.shuffleStatuses().size() <= before + 2
+    scratch.close()
