@@ -51,6 +51,14 @@ def test_live_bodies_and_releases(spark, sf_dir, tmp_path):
     assert out and set(out) == {49} and book.spent() == 0.5 * len(out)
 
 
+def test_replay_keeps_no_state_and_nothing_on_the_driver(spark, sf_dir):
+    """The windows of all batches are rows of files, not of a table in the driver's memory."""
+    df = stream.replay_windows(spark, sf_dir)
+    files, want = df.inputFiles(), stream.batch_windows(spark, sf_dir)
+    assert {f.split("batch=")[1][0] for f in files} == {"0", "1"}
+    assert df.exceptAll(want).count() == 0 and df.count() == want.count()
+
+
 def test_plans(spark, sf_dir):
     """Points reach the bodies without Python, a Cartesian product, or more columns than needed."""
     b = x.bodies(spark, sf_dir, "even")
