@@ -143,3 +143,36 @@ def test_nearest_all_has_no_limit(spark, monkeypatch):
     found = q_core.QUERIES["nearest_all"][0](spark, "").agg(F.count(F.lit(1)), F.max("rank")).first()
     assert tuple(found) == (n, n)
     assert q_core.QUERIES["nearest_k"][0](spark, "").count() == 40
+
+
+def test_hulls_of_the_concentrated_role_are_exact(spark, sf_dir):
+    """Corners and areas as in rational arithmetic on the same doubles, where a side's rounded test could err."""
+    from fractions import Fraction
+
+    from pyspark.sql import functions as F
+
+    from regioncount.functions import fn
+    from regioncount.plans import q_core
+    from regioncount.sources import points
+
+    p = points.core(spark, sf_dir)
+    kept = regions.trim(regions.with_modes(p, regions.density_mode(p)), 2.0, "disc", 3.2).select("user_id", "x", "y").collect()
+    got = {r.body_id: (r.c, r.a) for r in q_core.hulls(spark, sf_dir).select("body_id", F.size("hull").alias("c"), fn.hull_area(F.col("hull")).alias("a")).collect()}
+    sets = {}
+    for r in kept:
+        sets.setdefault(r.user_id, set()).add((Fraction(r.x), Fraction(r.y)))
+    assert set(got) == set(sets)
+
+    def chain(ps):
+        out = []
+        for c in ps:
+            while len(out) > 1 and (out[-1][0] - out[-2][0]) * (c[1] - out[-2][1]) - (out[-1][1] - out[-2][1]) * (c[0] - out[-2][0]) <= 0:
+                out.pop()
+            out.append(c)
+        return out[:-1]
+
+    for user, s in sets.items():
+        ps = sorted(s)
+        h = chain(ps) + chain(ps[::-1]) if len(ps) > 2 else ps
+        area = abs(sum(a[0] * b[1] - b[0] * a[1] for a, b in zip(h, h[1:] + h[:1], strict=True))) / 2
+        assert got[user][0] == len(h) and abs(got[user][1] - float(area)) < 1e-9
