@@ -59,6 +59,28 @@ def test_components_against_brute_force(spark, size, pct, chunk):
     assert got == brute_components(rows, size, pct)
 
 
+@pytest.mark.parametrize("chunk", [800_000, 300])
+def test_components_in_passes(spark, chunk):
+    rows = near_copies(8)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((str(r.doc_id), r.n_shingles, str(r.component_id)) for r in j.components_of(df, 5, 80, chunk_hashes=chunk, pass_hashes=20_000).collect())
+    assert got == brute_components(rows, 5, 80)
+
+
+def test_search_reads_few_rows_of_chained_texts(spark, monkeypatch):
+    """Short texts that share lines chain into one block, which is not searched all against all."""
+    rng = random.Random(5)
+    lines = [" ".join(f"w{rng.randrange(10**6)}" for _ in range(9)) for _ in range(302)]
+    rows = [(i, " ".join(lines[i : i + 3])) for i in range(300)]
+    rows[200] = (200, rows[100][1] + " more")
+    read, search = [], j._search_groups
+    monkeypatch.setattr(j, "_search_groups", lambda rows, keys, pct: read.append(rows.count()) or search(rows, keys, pct))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((str(r.doc_id), r.n_shingles, str(r.component_id)) for r in j.components_of(df, 3, 80, chunk_hashes=200).collect())
+    assert got == brute_components(rows, 3, 80)
+    assert 200 < sum(read) < 4 * len(rows)
+
+
 def test_components_of_messy_rows(spark, messy, no_documents):
     rows = [(r.doc_id, r.text) for r in messy.collect()]
     got = sorted((str(r.doc_id), r.n_shingles, str(r.component_id)) for r in j.components_of(messy).collect())
